@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, langid, lmscore, packing, quality, tokenstore, toxicity, wordpieces
+from . import ann, bpe, langid, lmscore, packing, quality, tokenstore, toxicity, wordpieces
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,6 +35,10 @@ def op6_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lmscore.difference(_documents(spark, sf_dir), good)
 
 
+def op7_adaptive_dimension_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
 def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return wordpieces.piece_counts(_documents(spark, sf_dir))
 
@@ -47,7 +51,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(_documents(spark, sf_dir))
 
 
-OPERATORS = (op1_toxicity, op2_language_id, op4_byte_bpe, op5_token_store, op6_cross_entropy_difference, op8_token_counts, op9_best_fit_packing, op10_quality_rules)
+OPERATORS = (op1_toxicity, op2_language_id, op4_byte_bpe, op5_token_store, op6_cross_entropy_difference, op7_adaptive_dimension_scan, op8_token_counts, op9_best_fit_packing, op10_quality_rules)
 
 
 def queries() -> dict:
