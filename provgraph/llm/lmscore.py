@@ -22,10 +22,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import ship, shuffle_partitions
+from .runtime import ship
+from .tables import SCHEMA, blocks, total
 from .units import Memo
 
-WORD_BITS, PAIR_BITS, BLOCK = 18, 20, 1 << 13
+WORD_BITS, PAIR_BITS = 18, 20
 PAIR_WEIGHT = 0.6
 #: Tables in turn: words and pairs of the background, then of the target.
 SIZES = (1 << WORD_BITS, 1 << PAIR_BITS) * 2
@@ -49,21 +50,6 @@ class Slots:
         return at.astype(np.int64), pairs.astype(np.int64)
 
 
-def _blocks(tables):
-    for k, table in enumerate(tables):
-        for b in np.flatnonzero(table.reshape(-1, BLOCK).any(1)):
-            yield k, int(b), table[b * BLOCK : (b + 1) * BLOCK]
-
-
-def _rows(blocks):
-    k, b, v = zip(*blocks)
-    return pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(b, pa.int32()), pa.array([x.astype("<i8").tobytes() if x.max() > 0xFFFFFFFF else x.astype("<u4").tobytes() for x in v], pa.binary())], names=["model", "block", "counts"])
-
-
-def _numbers(raw: bytes) -> np.ndarray:
-    return np.frombuffer(raw, "<u4" if len(raw) == 4 * BLOCK else "<i8").astype(np.int64)
-
-
 def count(texts: DataFrame) -> list[np.ndarray]:
     """The four summed tables of rows (text, is_target)."""
     ship(texts.sparkSession)
@@ -75,28 +61,9 @@ def count(texts: DataFrame) -> list[np.ndarray]:
             for text, y in zip(batch.column(0), batch.column(1).to_pylist()):
                 for k, at in enumerate(slots(text.as_py())):
                     np.add.at(tables[2 * bool(y) + k], at, 1)
-        got = list(_blocks(tables))
-        for i in range(0, len(got), 16):
-            yield _rows(got[i : i + 16])
+        yield from blocks(tables)
 
-    def summed(batches):
-        total: dict[tuple[int, int], np.ndarray] = {}  # at most the blocks of the fixed tables
-        for batch in batches:
-            for k, b, raw in zip(*(c.to_pylist() for c in batch.columns)):
-                total[k, b] = total.get((k, b), 0) + _numbers(raw)
-        got = [(k, b, v) for (k, b), v in sorted(total.items(), key=lambda x: x[0])]
-        for i in range(0, len(got), 16):
-            yield _rows(got[i : i + 16])
-
-    schema = "model int, block int, counts binary"
-    parts = texts.mapInArrow(local, schema)
-    # two rounds, so that no task takes in the blocks of all tasks
-    parts = parts.repartition(shuffle_partitions(texts.sparkSession), "model", "block", F.pmod(F.monotonically_increasing_id(), F.lit(16))).mapInArrow(summed, schema)
-    parts = parts.repartition(shuffle_partitions(texts.sparkSession), "model", "block").mapInArrow(summed, schema)
-    tables = [np.zeros(n, np.int64) for n in SIZES]
-    for r in parts.toLocalIterator():
-        tables[r["model"]][r["block"] * BLOCK : (r["block"] + 1) * BLOCK] += _numbers(bytes(r["counts"]))
-    return tables
+    return total(texts.mapInArrow(local, SCHEMA), SIZES)
 
 
 class PairModel:

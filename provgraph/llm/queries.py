@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import ann, bpe, langid, lmscore, packing, quality, tokenstore, toxicity, wordpieces
+from . import ann, bpe, jaccard, langid, lmscore, packing, quality, tokenstore, toxicity, wordpieces
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -21,6 +21,10 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.label(docs, langid.fit(docs))
 
 
+def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join(_documents(spark, sf_dir))
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(_documents(spark, sf_dir))
 
@@ -51,7 +55,14 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(_documents(spark, sf_dir))
 
 
-OPERATORS = (op1_toxicity, op2_language_id, op4_byte_bpe, op5_token_store, op6_cross_entropy_difference, op7_adaptive_dimension_scan, op8_token_counts, op9_best_fit_packing, op10_quality_rules)
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages of corpus_pipeline.py in turn."""
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+OPERATORS = (op1_toxicity, op2_language_id, op3_jaccard_join, op4_byte_bpe, op5_token_store, op6_cross_entropy_difference, op7_adaptive_dimension_scan, op8_token_counts, op9_best_fit_packing, op10_quality_rules, pipeline)
 
 
 def queries() -> dict:
