@@ -58,6 +58,11 @@ def trigrams(word: str) -> list[str]:
     return [s[i : i + 3] for i in range(len(s) - 2)]
 
 
+def words_of(text: str | None) -> list[str]:
+    """Runs without white space, full stop and comma, in lower case."""
+    return (text or "").lower().replace(".", " ").replace(",", " ").split()
+
+
 def letters_of(token: str) -> str:
     return token if token.isalpha() else "".join(filter(str.isalpha, token))
 
@@ -98,7 +103,7 @@ class Labeller:
         self.rows = np.zeros((1024, len(model.languages)))
         self.size = np.zeros(1024, np.int64)
         self.next = 0
-        self.index = Memo(self._add, 300_000)
+        self.index = Memo(self._add, 500_000)
 
     def _add(self, token: str) -> int:
         """Index of the token's scores and number of letters; the tables start anew together with the memo."""
@@ -109,13 +114,16 @@ class Labeller:
             self.rows, self.size = np.concatenate([self.rows, np.zeros_like(self.rows)]), np.concatenate([self.size, np.zeros_like(self.size)])
         word = letters_of(token)
         self.size[i] = len(word)
-        self.rows[i] = 0
-        if word:
-            m = self.model
-            self.rows[i] = np.sum([m.scores.get(g, m.floor) for g in trigrams(word)], 0)
-            if (narrow := m.scripts.get(script(word[0]))) is not None:
-                self.rows[i] += narrow
-            self.rows[i] -= self.rows[i].max()
+        if not word:
+            self.rows[i] = 0
+            return i
+        m, padded = self.model, f" {word} "
+        get, floor = m.scores.get, m.floor
+        row = [sum(c) for c in zip(*[get(padded[k : k + 3], floor) for k in range(len(word))])]
+        if (narrow := m.scripts.get(script(word[0]))) is not None:
+            row = [a + b for a, b in zip(row, narrow)]
+        top = max(row)
+        self.rows[i] = [x - top for x in row]
         return i
 
     def path(self, scores: np.ndarray) -> np.ndarray:
@@ -125,24 +133,24 @@ class Labeller:
         np.cumsum(scores - scores[:, best : best + 1], 0, out=gain[1:])
         if (gain - np.minimum.accumulate(gain)).max() <= self.penalty:
             return np.full(len(scores), best)
-        n, k = scores.shape
-        came = np.empty((n, k), np.int32)
-        v, stay = np.zeros(k), np.arange(k)
-        for t in range(n):
-            top = int(v.argmax())
-            switch = v[top] - self.penalty > v
-            came[t] = np.where(switch, top, stay)
-            v = np.maximum(v, v[top] - self.penalty) + scores[t]
-        out = np.empty(n, np.int64)
-        x = int(v.argmax())
-        for t in range(n - 1, -1, -1):
+        v, tops, switched = [0.0] * scores.shape[1], [], []
+        for row in scores.tolist():
+            top = max(v)
+            tops.append(v.index(top))
+            top -= self.penalty
+            switched.append([x < top for x in v])
+            v = [(x if x >= top else top) + y for x, y in zip(v, row)]
+        out = np.empty(len(scores), np.int64)
+        x = v.index(max(v))
+        for t in range(len(scores) - 1, -1, -1):
             out[t] = x
-            x = came[t, x]
+            if switched[t][x]:
+                x = tops[t]
         return out
 
     def label(self, text: str | None) -> tuple[str, float, list[tuple[int, int, str]]]:
         """Language, share of letters in it, and spans (first word, words, language)."""
-        tokens = (text or "").lower().split()
+        tokens = words_of(text)
         if not tokens or not self.model.languages:
             return UNKNOWN, 0.0, []
         if len(self.index) + len(tokens) > self.index.most:  # no renewal within a text
@@ -175,7 +183,7 @@ def fit(docs: DataFrame, max_train_docs: int = 2500, max_grams: int = 200_000, f
         words: dict[str, Counter] = {}
         for batch in batches:
             for text, x in zip(batch.column(0), batch.column(1).to_pylist()):
-                words.setdefault(x, Counter()).update(text.as_py().lower().split())
+                words.setdefault(x, Counter()).update(words_of(text.as_py()))
         for x, tokens in words.items():
             grams, scripts = Counter(), Counter()
             for token, n in tokens.items():
