@@ -45,7 +45,8 @@ class ByteBPE:
         self.single = [ranks.get(bytes([b]), -1) for b in range(256)].__getitem__
         #: The longest other token that a token begins with.
         self.shorter = [next((ranks[t[:k]] for k in range(len(t) - 1, 0, -1) if t[:k] in ranks), -1) for t in self.token]
-        self.found.make_automaton()
+        if len(self.found):
+            self.found.make_automaton()
         self.seam = Memo(self._seam, 1_000_000)
         self.joined: dict[int, int] = {}
         self.halves: list[tuple[int, int] | None] = [None] * self.size
@@ -81,7 +82,7 @@ class ByteBPE:
         """Token ids of one piece of the pre-tokeniser."""
         n = len(piece)
         longest = list(map(self.single, piece))
-        for end, (rank, before) in self.found.iter(piece.decode("latin-1")):
+        for end, (rank, before) in self.found.iter(piece.decode("latin-1")) if len(self.found) else ():
             longest[end - before] = rank  # the ends ascend, so the longest stays
         token, shorter, seam, size = self.token, self.shorter, self.seam, self.size
         if n and longest[0] >= 0 and len(token[longest[0]]) == n:
