@@ -121,7 +121,7 @@ for _n, _k in (("W-V2", "how_coeff"), ("W-K3b", "how_coeff_rotation")):
 
 _SHAPES = {
     "bgp_constant": "SELECT ?o { ?o placedBy cust:7 . ?o hasStatus ?x }",
-    "bgp_varpred": "SELECT ?l ?o { cust:7 ?l ?o . cust:7 followed ?f }",
+    "bgp_varpred": "SELECT ?l ?o { cust:7 followed ?f . ?f ?l ?o }",
     "bgp_selfloop": "SELECT ?x { ?x followed ?x }",
     "bgp_fold": "SELECT ?a ?b { ?a followed ?x . ?b followed ?x }",
 }
@@ -185,7 +185,7 @@ _FOLDED = [("W-S1", ""), ("W-S2", "1-4"), ("W-S3", ""), ("W-Y4", ""), ("W-C4", "
 
 
 def _profiled(s, d):
-    c = labels.constraints(build_graph(reader(s, d), range(1, 8)))
+    c = labels.constraints(build_graph(reader(s, d), range(1, 14)))
     return s.createDataFrame([(n, ",".join(f"{i}-{j}" for i, j in foldable_pairs(get(n), c))) for n, _ in _FOLDED], "qid string, pairs string")
 
 
