@@ -12,15 +12,19 @@ from .baselines import recompute
 from .bench import measures
 from .kg.build import BASE, FAMILIES, LABELS, build_graph, families_of, graph_for, reader
 from .kg.sql import graph_cte
-from .maintain.maintainer import Maintainer
+from .functions import udfs
+from .maintain.maintainer import Maintainer, state_folder
 from .maintain.potential import Catalog, annotations, edge_to_answer, edge_to_cp, potential_matches, union_all
 from .match.evaluate import derivations, evaluate
 from .match.sql import to_sql
+from .operators import joins
 from .plan.andor import build
 from .prov import poly, semiring
 from .query.bgp import GraphQuery, Var, parse_select
 from .query.folding import foldable_pairs
 from .query.subquery import generate
+from .sources import readers
+from .sources.state import StateStore
 from .stats import cardinality, labels
 from .streaming import standing
 from .workload import querylog, updates
@@ -519,6 +523,67 @@ register("set_ops", f"{_LOC}, a AS (SELECT s AS v FROM g WHERE p = 'followed'),
 register("topk_support", f"{_cte(get('W-C4'))} SELECT v_g AS ans, count(*) AS n FROM ({to_sql(get('W-C4'))}) GROUP BY 1 ORDER BY n DESC, ans LIMIT 3")(lambda s, d: poly.total(_deriv(s, d, get("W-C4"))).select(F.array_join("ans", "|").alias("ans"), "n").orderBy(F.desc("n"), "ans").limit(3))
 
 
+def _asof(s, d):
+    e = reader(s, d)("events")
+    buys = e.where("event_type = 'purchase'").select("event_id", "user_id", F.unix_micros("ts").alias("t"))
+    clicks = e.where("event_type = 'click'").select("user_id", F.unix_micros("ts").alias("t"), F.col("event_id").alias("click_id"))
+    return joins.asof(buys, clicks, "user_id", "t", "click_id").select("event_id", "click_id")
+
+
+register("join_asof", "SELECT event_id, click_id FROM (SELECT event_id, event_type, max(CASE WHEN event_type = 'click' THEN event_id END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS click_id FROM events) WHERE event_type = 'purchase'")(_asof)
+
+
+def _interval(s, d):
+    e = reader(s, d)("events").select("event_id", "event_type", F.unix_timestamp("ts").alias("t"))
+    spans = e.where("event_type = 'error'").select(F.col("event_id").alias("error_id"), F.col("t").alias("from_t"), (F.col("t") + 900).alias("to_t"))
+    return joins.interval(e.where("event_type <> 'error'"), spans, "t", "from_t", "to_t", 900).groupBy("error_id").agg(F.count("*").alias("n"))
+
+
+register("join_interval", "WITH e AS (SELECT event_id, event_type, CAST(floor(epoch(ts)) AS BIGINT) AS t FROM events) SELECT x.event_id AS error_id, count(*) AS n FROM e x JOIN e y ON y.t >= x.t AND y.t < x.t + 900 AND y.event_type <> 'error' WHERE x.event_type = 'error' GROUP BY 1")(_interval)
+register("join_salted", "SELECT p_brand, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_brand")(
+    lambda s, d: joins.salted(reader(s, d)("lineitem").withColumnRenamed("l_partkey", "k"), reader(s, d)("part").select(F.col("p_partkey").alias("k"), "p_brand"), "k").groupBy("p_brand").agg(F.count("*").alias("n"))
+)
+
+
+def _stored(s, d):
+    """Held-out edges inserted and some deleted through versioned state, then compacted."""
+    g = build_graph(reader(s, d), (1, 3, 6))
+    store = StateStore(s, state_folder(s))
+    store.commit("triples", base=updates.held_out(g, True))
+    store.commit("triples", inserts=updates.held_out(g, False))
+    store.commit("triples", tombstones=updates.deletes(g, {"followed", "locatedIn", "inSegment"}))
+    store.compact("triples")
+    return store.read("triples").select("edge_id", "s", "p", "o")
+
+
+register("state_compact", f"WITH {graph_cte((1, 3, 6), f'NOT ({GONE})')} SELECT edge_id, s, p, o FROM g")(_stored)
+
+
+def _csv(s, d):
+    at = state_folder(s)
+    build_graph(reader(s, d), (1, 3)).select("edge_id", "s", "p", "o").write.csv(at, sep="\t")
+    return readers.triples_csv(s, at).select("edge_id", "s", "p", "o")
+
+
+register("src_csv", f"WITH {graph_cte((1, 3))} SELECT edge_id, s, p, o FROM g")(_csv)
+
+
+def _lines(s, d):
+    at = state_folder(s)
+    build_graph(reader(s, d), (3, 6)).select(F.concat(F.lit("<"), "s", F.lit("> <"), "p", F.lit("> "), F.when(F.col("o").startswith("lit:"), F.concat(F.lit('"'), F.substring("o", 5, 1000), F.lit('"'))).otherwise(F.concat(F.lit("<"), "o", F.lit(">"))), F.lit(" ."))).write.text(at)
+    return readers.triples_lines(s, at).select("s", "p", "o")
+
+
+register("src_lines", f"WITH {graph_cte((3, 6))} SELECT s, p, o FROM g")(_lines)
+register("udf_probability")(lambda s, d: udfs.answer_probabilities(_deriv(s, d, get("W-S1")), lambda e: 0.5 + (e % 5) / 10))
+register("udf_minimal", SQL["why_minimal"])(
+    lambda s, d: _show(udfs.minimal_witnesses(_deriv(s, d, get("W-S2"))).groupBy("qid", "ans").agg(F.collect_list("witness").alias("witnesses")))
+)
+register("udtf_terms", f"{_cte(_q)} SELECT {_ans(_q)} AS ans, array_to_string({_mono(_q)}, '.') AS mono, count(*) AS coef FROM ({to_sql(_q)}) GROUP BY 1, 2")(
+    lambda s, d: (udfs.register_sql(s), poly.how(_deriv(s, d, get("W-S2"))).createOrReplaceTempView("how_s2"), s.sql("SELECT array_join(h.ans, '|') AS ans, array_join(transform(t.mono, e -> cast(e AS string)), '.') AS mono, t.coef FROM how_s2 h, LATERAL poly_terms(h.poly) t"))[-1]
+)
+
+
 def entry(spark: SparkSession, sf_dir: str = "/root/testdata/sf0.001") -> DataFrame:
     """How-provenance of the folding query after a hold-out replay."""
     return _replay(spark, sf_dir, "W-S2")
