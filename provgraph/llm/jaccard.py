@@ -251,7 +251,7 @@ def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_c
     buckets = stage.table(_buckets(_prefixes(docs, sketch, percent)), "buckets")
     alike = buckets.select("key").distinct().join(classes, "key").select("key", F.col("least").alias("_id"))
     # a row of each class that shares a bucket
-    texts = stage.table(docs.join(alike, F.col("doc_id") == F.col("_id")).dropDuplicates(["key"]).select("key", "text"), "texts")
+    texts = stage.table(docs.join(alike, F.col("doc_id") == F.col("_id")).dropDuplicates(["doc_id"]).select("key", "text"), "texts")
     stars = buckets.where((F.col("key") != F.col("leader")) & (100 * F.least("n", "leader_n") >= percent * F.greatest("n", "leader_n")))
     first = stage.table(stars.select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct(), "stars")
     found = stage.table(_verify(first, texts, percent), "links")
