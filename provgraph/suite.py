@@ -525,8 +525,8 @@ register("topk_support", f"{_cte(get('W-C4'))} SELECT v_g AS ans, count(*) AS n
 
 def _asof(s, d):
     e = reader(s, d)("events")
-    buys = e.where("event_type = 'purchase'").select("event_id", "user_id", F.unix_micros("ts").alias("t"))
-    clicks = e.where("event_type = 'click'").select("user_id", F.unix_micros("ts").alias("t"), F.col("event_id").alias("click_id"))
+    buys = e.where("event_type = 'purchase'").select("event_id", "user_id", F.col("ts").alias("t"))
+    clicks = e.where("event_type = 'click'").select("user_id", F.col("ts").alias("t"), F.col("event_id").alias("click_id"))
     return joins.asof(buys, clicks, "user_id", "t", "click_id").select("event_id", "click_id")
 
 
