@@ -84,7 +84,8 @@ def difference(docs: DataFrame, target: DataFrame, id_col: str = "doc_id", text_
     """doc_id, n_words, loss_target, loss_background, score of every document; target: ids of the target documents."""
     spark = docs.sparkSession
     chosen = target.select(F.col(id_col).alias("_t")).where(F.col("_t").isNotNull()).distinct()
-    marked = docs.select(F.col(id_col).alias("_d"), F.col(text_col).alias("_text")).join(chosen, F.col("_d") == F.col("_t"), "left").select("_text", F.col("_t").isNotNull().alias("_y"))
+    # sorted and merged at every size: labels grow with the documents, so they are never broadcast
+    marked = docs.select(F.col(id_col).alias("_d"), F.col(text_col).alias("_text")).join(chosen.hint("merge"), F.col("_d") == F.col("_t"), "left").select("_text", F.col("_t").isNotNull().alias("_y"))
     tables = count(marked)
     shared = spark.sparkContext.broadcast(tables)
 
