@@ -60,7 +60,7 @@ def unit_encoder(path: str):
             return piece_ids(" " + word) + mark if mark else piece_ids(" " + word)
         return alone(" " + unit)
 
-    get = Memo(later).__getitem__
+    get = Memo(later, 700_000).__getitem__
 
     def encode(text: str | None) -> bytes:
         if not text:
