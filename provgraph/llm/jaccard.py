@@ -69,6 +69,15 @@ def needed(n: int, percent: int) -> int:
     return -(-percent * n // 100)
 
 
+def shared_needed(n: int, m: int, percent: int) -> int:
+    """Least number of n-grams that the prefixes of two linking sets of n and m have in common.
+
+    Of the prefix that ends first in the order, every common n-gram lies in the other prefix too; beyond it there are at most as many as that
+    set has left, and the larger set has most left.
+    """
+    return -(-percent * (n + m) // (100 + percent)) - needed(max(n, m), percent) + 1
+
+
 def slots(g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     mask = np.uint64((1 << SKETCH_BITS) - 1)
     return (g & mask).astype(np.int64), ((g >> np.uint64(SKETCH_BITS)) & mask).astype(np.int64)
@@ -182,29 +191,35 @@ def _buckets(prefixes: DataFrame) -> DataFrame:
 
 
 def _open_pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs of one bucket in different components whose lengths can link, by streaming over rows sorted by length."""
+    """Pairs (a, b) in different components that can link, by streaming over each bucket's rows sorted by length.
+
+    Their lengths allow it, and their prefixes share enough n-grams.
+    """
 
     def run(batches):
         gram, near = None, []
         for batch in batches:
-            a, b = [], []
+            a, b, need = [], [], []
             for g, k, n, root in zip(*(c.to_pylist() for c in batch.columns)):
                 if g != gram:
                     gram, near = g, []
-                near = [x for x in near if 100 * x[1] >= percent * n] if near and 100 * near[0][1] < percent * n else near
-                for key, _, other in near:
+                if near and 100 * near[0][1] < percent * n:
+                    near = [x for x in near if 100 * x[1] >= percent * n]
+                for key, m, other in near:
                     if other != root:
                         a.append(min(k, key))
                         b.append(max(k, key))
+                        need.append(shared_needed(n, m, percent))
                 near.append((k, n, root))
                 if len(a) > 100_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
-                    a, b = [], []
+                    yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(need, pa.int32())], names=["a", "b", "need"])
+                    a, b, need = [], [], []
             if a:
-                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(need, pa.int32())], names=["a", "b", "need"])
 
     n = shuffle_partitions(members.sparkSession)
-    return members.select("gram", "key", "n", "root").repartition(n, "gram").sortWithinPartitions("gram", "n", "key").mapInArrow(run, "a long, b long").distinct()
+    met = members.select("gram", "key", "n", "root").repartition(n, "gram").sortWithinPartitions("gram", "n", "key").mapInArrow(run, "a long, b long, need int")
+    return met.groupBy("a", "b").agg(F.count("*").alias("k"), F.max("need").alias("need")).where("k >= need").select("a", "b")
 
 
 def _verify(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
@@ -253,7 +268,10 @@ def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_c
     # a row of each class that shares a bucket
     texts = stage.table(docs.join(alike, F.col("doc_id") == F.col("_id")).dropDuplicates(["doc_id"]).select("key", "text"), "texts")
     stars = buckets.where((F.col("key") != F.col("leader")) & (100 * F.least("n", "leader_n") >= percent * F.greatest("n", "leader_n")))
-    first = stage.table(stars.select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct(), "stars")
+    want = F.ceil(percent * (F.col("n") + F.col("leader_n")) / (100 + percent)) - F.ceil(percent * F.greatest("n", "leader_n") / 100) + 1
+    # a leader may not lead all buckets of the pair; a pair that falls short here comes up again among the open ones
+    met = stars.groupBy(F.col("leader").alias("a"), F.col("key").alias("b")).agg(F.count("*").alias("k"), F.max(want).alias("need"))
+    first = stage.table(met.where("k >= need").select("a", "b"), "stars")
     found = stage.table(_verify(first, texts, percent), "links")
     roots = components(found, stage)
     named = buckets.join(roots, F.col("key") == F.col("node"), "left").select("gram", "key", "n", F.coalesce("root", "key").alias("root"))
