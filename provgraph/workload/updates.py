@@ -59,7 +59,7 @@ def from_events(events: DataFrame) -> DataFrame:
     """Each event inserts an edge; an error deletes the edge of the user's last other event."""
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     last = F.last(F.when(F.col("event_type") != "error", F.col("event_id")), ignorenulls=True).over(w)
-    e = events.withColumn("_last", last).withColumn("seq", F.col("event_id"))
+    e = events.withColumn("_last", last).withColumn("seq", F.col("event_id")).withColumn("ts", F.col("ts").cast("timestamp"))
     event_id = lambda c: F.lit(14 * BASE) + F.col(c)
     ins = e.where("event_type <> 'error'").select("seq", "ts", F.lit("ins").alias("op"), event_id("event_id").alias("edge_id"), term("cust", "user_id").alias("s"), F.col("event_type").alias("p"), term("topic", F.get_json_object("props", "$.k")).alias("o"), F.lit(False).alias("inverse"))
     none = F.lit(None).cast("string")
