@@ -268,10 +268,8 @@ def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_c
     # a row of each class that shares a bucket
     texts = stage.table(docs.join(alike, F.col("doc_id") == F.col("_id")).dropDuplicates(["doc_id"]).select("key", "text"), "texts")
     stars = buckets.where((F.col("key") != F.col("leader")) & (100 * F.least("n", "leader_n") >= percent * F.greatest("n", "leader_n")))
-    want = F.ceil(percent * (F.col("n") + F.col("leader_n")) / (100 + percent)) - F.ceil(percent * F.greatest("n", "leader_n") / 100) + 1
-    # a leader may not lead all buckets of the pair; a pair that falls short here comes up again among the open ones
-    met = stars.groupBy(F.col("leader").alias("a"), F.col("key").alias("b")).agg(F.count("*").alias("k"), F.max(want).alias("need"))
-    first = stage.table(met.where("k >= need").select("a", "b"), "stars")
+    # all of them, however few n-grams they share in buckets of one leader: each link found here saves the pairs of two components
+    first = stage.table(stars.select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct(), "stars")
     found = stage.table(_verify(first, texts, percent), "links")
     roots = components(found, stage)
     named = buckets.join(roots, F.col("key") == F.col("node"), "left").select("gram", "key", "n", F.coalesce("root", "key").alias("root"))
