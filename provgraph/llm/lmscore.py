@@ -1,13 +1,15 @@
 """Cross-entropy difference of documents under two matched n-gram models.
 
-The target model counts the documents chosen as target, the background model all the others.  Both share one
-closed vocabulary: every word has one of 2^WORD_BITS slots by its hash, and bigrams have slots of their own, so both
-models are tables of a size fixed beforehand, whatever the corpus holds.  Both use the same order, interpolation and
-add-one floor.  A document's score is the mean over its words of the target loss minus the background loss:
-the lower, the closer it is to the target.
+The target model counts the documents chosen as target, the background model all the others.  Both share the words of the
+whole corpus, the same order, interpolation and add-one floor.  A document's score is the mean over its words of the target
+loss minus the background loss: the lower, the closer it is to the target.
 
-Counts cover every word of every document: tasks send their tables in blocks, blocks are summed by
-streaming, and only the summed tables (fixed size) reach the driver and the workers.
+Words and bigrams are counted by themselves, in written tables that grow with the corpus: a word has a 64-bit key, for which
+a seed is chosen under which no two words of the corpus share one, and a bigram is the pair of its words' keys.  Losses are computed once for each
+bigram and joined back to the texts.  Hot words (HOT_WORDS) and hot bigrams (HOT_PAIRS) are sent to the workers
+instead; that bounds the share of a task and decides the work, never the result.
+
+The floor spreads over all words of the corpus, and over LEAST_WORDS at least.
 
 Defined results: null and empty texts have no words, losses and score 0; if either side is empty, its model is
 uniform; a null id is never target; repeated rows count as often as they occur; labels repeated for a
@@ -16,25 +18,32 @@ document count once.
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import ship
-from .tables import SCHEMA, blocks, total
+from .runtime import Stage, ship
 from .units import Memo
 
 WORD_BITS, PAIR_BITS = 18, 20
 PAIR_WEIGHT = 0.6
-#: Tables in turn: words and pairs of the background, then of the target.
+LEAST_WORDS = 1 << WORD_BITS
+HOT_WORDS, HOT_PAIRS = 4096, 50_000
+#: Entries of a task's counter before it is sent on.
+HELD = 400_000
+#: The key before a text's first word.
+START = 0
+#: Sizes of the hashed form: words and pairs of the background, then of the target.
 SIZES = (1 << WORD_BITS, 1 << PAIR_BITS) * 2
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
 class Slots:
-    """Word slots of a text and pair slots of its neighbours; a text starts with a slot of its own."""
+    """Hashed form for small vocabularies, which tests compare with: word slots of a text and pair slots of its neighbours."""
 
     def __init__(self):
         self.get = Memo(lambda w: xxhash.xxh64_intdigest(w) >> (64 - WORD_BITS)).__getitem__
@@ -50,24 +59,8 @@ class Slots:
         return at.astype(np.int64), pairs.astype(np.int64)
 
 
-def count(texts: DataFrame) -> list[np.ndarray]:
-    """The four summed tables of rows (text, is_target)."""
-    ship(texts.sparkSession)
-
-    def local(batches):
-        slots = Slots()
-        tables = [np.zeros(n, np.int64) for n in SIZES]
-        for batch in batches:
-            for text, y in zip(batch.column(0), batch.column(1).to_pylist()):
-                for k, at in enumerate(slots(text.as_py())):
-                    np.add.at(tables[2 * bool(y) + k], at, 1)
-        yield from blocks(tables)
-
-    return total(texts.mapInArrow(local, SCHEMA), SIZES)
-
-
 class PairModel:
-    """Interpolated bigram losses from one word table and one pair table."""
+    """Interpolated bigram losses from one word table and one pair table of the hashed form."""
 
     def __init__(self, words: np.ndarray, pairs: np.ndarray):
         self.single = np.log((words + 1.0) / (words.sum() + len(words)))
@@ -80,27 +73,164 @@ class PairModel:
         return -np.log(PAIR_WEIGHT * share + (1 - PAIR_WEIGHT) * np.exp(self.single[at]))
 
 
+def words_of(text: str | None) -> list[str]:
+    return (text or "").lower().split()
+
+
+def word_key(word: str, seed: int = 0) -> int:
+    """Equal to Spark's xxhash64 of the word and `seed` spaces, which no word holds."""
+    h = xxhash.xxh64_intdigest(word + " " * seed, 42)
+    return h - (1 << 64) if h >> 63 else h
+
+
+def _counted(texts: DataFrame, items, columns: list[pa.Field], schema: str) -> DataFrame:
+    """Rows (item's columns, bg, tg) of each task, summed there as far as HELD entries go; texts: (text, is_target)."""
+
+    def run(batches):
+        held: tuple[Counter, Counter] = (Counter(), Counter())
+        take = items()
+
+        def out():
+            for y, c in enumerate(held):
+                if c:
+                    n = pa.array(list(c.values()), pa.int64())
+                    none = pa.array(np.zeros(len(c), np.int64))
+                    keys = [list(c)] if len(columns) == 1 else list(zip(*c))
+                    yield pa.RecordBatch.from_arrays([*(pa.array(k, f.type) for k, f in zip(keys, columns)), *((none, n) if y else (n, none))], names=[*(f.name for f in columns), "bg", "tg"])
+                c.clear()
+
+        for batch in batches:
+            for text, y in zip(batch.column(0), batch.column(1).to_pylist()):
+                held[y].update(take(text.as_py()))
+                if len(held[0]) + len(held[1]) > HELD:
+                    yield from out()
+        yield from out()
+
+    names = [f.name for f in columns]
+    return texts.mapInArrow(run, f"{schema}, bg long, tg long").groupBy(*names).agg(F.sum("bg").alias("bg"), F.sum("tg").alias("tg"))
+
+
+def count_words(texts: DataFrame, stage: Stage) -> tuple[DataFrame, int]:
+    """(key, bg, tg) of each word, and the seed of the keys."""
+    words = stage.table(_counted(texts, lambda: words_of, [pa.field("word", pa.string())], "word string"), "words")
+    seed = 0
+    while True:
+        keyed = words.select(F.xxhash64(F.concat("word", F.lit(" " * seed))).alias("key"), "bg", "tg")
+        if not keyed.groupBy("key").count().where(f"count > 1 or key = {START}").limit(1).count():
+            return keyed, seed
+        seed += 1
+
+
+def count_pairs(texts: DataFrame, stage: Stage, seed: int) -> DataFrame:
+    """(p, w, bg, tg) of each word w behind p."""
+
+    def items():
+        key = Memo(lambda w: word_key(w, seed)).__getitem__
+
+        def take(text):
+            at = list(map(key, words_of(text)))
+            return zip([START, *at[:-1]], at)
+
+        return take
+
+    return stage.table(_counted(texts, items, [pa.field("p", pa.int64()), pa.field("w", pa.int64())], "p long, w long"), "pairs")
+
+
+def _with_counts(pairs: DataFrame, words: DataFrame, hot: DataFrame, at: str) -> DataFrame:
+    """Pairs with the counts of the word in column `at`; rows of hot words are spread over all tasks."""
+    near = F.broadcast(hot.select(F.col("key").alias("_h"), F.col("bg").alias("_hb"), F.col("tg").alias("_ht")))
+    far = words.select(F.col("key").alias("_k"), F.col("bg").alias("_kb"), F.col("tg").alias("_kt")).hint("merge")
+    out = pairs.join(near, F.col(at) == F.col("_h"), "left").withColumn("_to", F.when(F.col("_h").isNull(), F.col(at)).otherwise(F.xxhash64("p", "w")))
+    out = out.join(far, F.col("_to") == F.col("_k"), "left")
+    return out.select(*pairs.columns, F.coalesce("_hb", "_kb").alias(f"{at}_bg"), F.coalesce("_ht", "_kt").alias(f"{at}_tg"))
+
+
+def losses(pairs: DataFrame, words: DataFrame, stage: Stage) -> DataFrame:
+    """(p, w, n, lt, lb): how often each bigram occurs and its losses under the target's and the background's model."""
+    spark = words.sparkSession
+    sums = words.agg(F.count("*").alias("size"), F.coalesce(F.sum("bg"), F.lit(0)).alias("bg"), F.coalesce(F.sum("tg"), F.lit(0)).alias("tg")).first()
+    size = max(LEAST_WORDS, sums["size"])
+    top = words.orderBy(F.desc(F.col("bg") + F.col("tg")), "key").limit(HOT_WORDS).collect()
+    hot = spark.createDataFrame([(START, 0, 0), *(tuple(r) for r in top)], "key long, bg long, tg long")
+    counted = _with_counts(_with_counts(pairs, words, hot, "w"), words, hot, "p")
+
+    def loss(side: str):
+        share = F.col(side) / F.greatest(F.col(f"p_{side}"), F.lit(1))
+        share = F.when(F.col("p") == START, 0.0).otherwise(share)
+        return -F.log(PAIR_WEIGHT * share + (1 - PAIR_WEIGHT) * (F.col(f"w_{side}") + 1.0) / F.lit(float(sums[side] + size)))
+
+    return stage.table(counted.select("p", "w", (F.col("bg") + F.col("tg")).alias("n"), loss("tg").alias("lt"), loss("bg").alias("lb")), "losses")
+
+
+class HotPairs:
+    """Losses of the most frequent bigrams, found by arrays of keys."""
+
+    def __init__(self, rows: list):
+        p, w = (np.array([r[k] for r in rows], np.int64) for k in ("p", "w"))
+        mixed = self.mix(p, w)
+        order = np.argsort(mixed, kind="stable")
+        self.mixed, self.p, self.w = mixed[order], p[order], w[order]
+        self.lt, self.lb = (np.array([r[k] for r in rows], float)[order] for k in ("lt", "lb"))
+
+    @staticmethod
+    def mix(p: np.ndarray, w: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            return p.view(np.uint64) * _MIX + w.view(np.uint64)
+
+    def find(self, p: np.ndarray, w: np.ndarray) -> np.ndarray:
+        """Index of each bigram, -1 if it isn't here."""
+        if not len(self.p):
+            return np.full(len(p), -1)
+        at = np.searchsorted(self.mixed, self.mix(p, w))
+        at[at == len(self.p)] = 0
+        return np.where((self.p[at] == p) & (self.w[at] == w), at, -1)
+
+
 def difference(docs: DataFrame, target: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, loss_target, loss_background, score of every document; target: ids of the target documents."""
     spark = docs.sparkSession
+    ship(spark)
+    stage = Stage(spark)
     chosen = target.select(F.col(id_col).alias("_t")).where(F.col("_t").isNotNull()).distinct()
     # sorted and merged at every size: labels grow with the documents, so they are never broadcast
-    marked = docs.select(F.col(id_col).alias("_d"), F.col(text_col).alias("_text")).join(chosen.hint("merge"), F.col("_d") == F.col("_t"), "left").select("_text", F.col("_t").isNotNull().alias("_y"))
-    tables = count(marked)
-    shared = spark.sparkContext.broadcast(tables)
+    marked = docs.select(F.col(id_col).cast("long").alias("_d"), F.col(text_col).alias("_text")).join(chosen.hint("merge"), F.col("_d") == F.col("_t"), "left")
+    marked = stage.table(marked.select("_d", "_text", F.col("_t").isNotNull().alias("_y"), F.monotonically_increasing_id().alias("_row")), "marked")
+    texts = marked.select("_text", "_y")
+    words, seed = count_words(texts, stage)
+    table = losses(count_pairs(texts, stage, seed), words, stage)
+    shared = spark.sparkContext.broadcast(HotPairs(table.orderBy(F.desc("n"), "p", "w").limit(HOT_PAIRS).collect()))
 
     def run(batches):
-        slots = Slots()
-        t = shared.value
-        background, wanted = PairModel(t[0], t[1]), PairModel(t[2], t[3])
+        """A row of each document with its sums over hot bigrams, and one of each other bigram in it."""
+        key, hot = Memo(lambda w: word_key(w, seed)).__getitem__, shared.value
+        names = ["row", "doc", "p", "w", "n", "lt", "lb"]
         for batch in batches:
-            n, a, b = [], [], []
-            for text in batch.column(1):
-                at, pairs = slots(text.as_py())
-                n.append(len(at))
-                a.append(float(wanted.loss(at, pairs).mean()) if len(at) else 0.0)
-                b.append(float(background.loss(at, pairs).mean()) if len(at) else 0.0)
-            a, b = np.array(a, float), np.array(b, float)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(a), pa.array(b), pa.array(a - b)], names=["doc_id", "n_words", "loss_target", "loss_background", "score"])
-
-    return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(run, "doc_id long, n_words long, loss_target double, loss_background double, score double")
+            texts = [words_of(t.as_py()) for t in batch.column(2)]
+            sizes = np.fromiter(map(len, texts), np.int64, len(texts))
+            w = np.fromiter((key(x) for t in texts for x in t), np.int64, int(sizes.sum()))
+            p = np.empty_like(w)
+            p[:1], p[1:] = START, w[:-1]
+            p[(np.cumsum(sizes) - sizes)[sizes > 0]] = START
+            of = np.repeat(np.arange(len(texts)), sizes)
+            at = hot.find(p, w)
+            far = at < 0
+            near, of_near = at[~far], of[~far]
+            rows = np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64)
+            n, m = len(rows), int(far.sum())
+            sums = [np.bincount(of_near, x[near] if len(near) else None, n) for x in (hot.lt, hot.lb)]
+            first = np.arange(n + m) < n
+            column = lambda x, y, none: pa.array(np.concatenate([x, y]), mask=none)
+            out = pa.RecordBatch.from_arrays([
+                pa.array(np.concatenate([rows, rows[of[far]]])), pa.concat_arrays([batch.column(1), pa.nulls(m, pa.int64())]),
+                column(rows, p[far], None), column(np.zeros(n, np.int64), w[far], first),
+                column(np.bincount(of_near, minlength=n).astype(np.int64), np.ones(m, np.int64), None), *(column(x.astype(float), np.zeros(m), ~first) for x in sums),
+            ], names=names)
+            for i in range(0, n + m, 50_000):
+                yield out.slice(i, 50_000)
+
+    found = marked.select("_row", "_d", "_text").mapInArrow(run, "row long, doc long, p long, w long, n long, lt double, lb double")
+    other = table.select(F.col("p").alias("_p"), F.col("w").alias("_w"), F.col("lt").alias("_lt"), F.col("lb").alias("_lb")).hint("merge")
+    joined = found.join(other, (F.col("p") == F.col("_p")) & (F.col("w") == F.col("_w")), "left")
+    sums = joined.groupBy("row").agg(F.max("doc").alias("doc_id"), F.sum("n").alias("n_words"), *(F.sum(F.coalesce(x, f"_{x}")).alias(x) for x in ("lt", "lb")))
+    mean = {x: F.col(x) / F.greatest(F.col("n_words"), F.lit(1)) for x in ("lt", "lb")}
+    return sums.select("doc_id", "n_words", mean["lt"].alias("loss_target"), mean["lb"].alias("loss_background"), (mean["lt"] - mean["lb"]).alias("score"))

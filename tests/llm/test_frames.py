@@ -143,6 +143,36 @@ def test_cross_entropy_difference(spark, none):
     assert lmscore.difference(none, target).count() == 0
 
 
+def test_cross_entropy_counts_words_not_slots(spark, monkeypatch):
+    """More words than hashed slots would tell apart: every bigram has its own count, hot or not."""
+    from collections import Counter
+    from math import log
+
+    monkeypatch.setattr(lmscore, "HOT_PAIRS", 5)
+    monkeypatch.setattr(lmscore, "HOT_WORDS", 3)
+    rows = [(i, " ".join(["the", "of", *(f"w{i}x{k}" for k in range(4000)), "the", "of"])) for i in range(100)] + [(100, "The of the of"), (100, "The of the of"), (None, "the w1x1")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(tuple(r) for r in lmscore.difference(docs, docs.where("doc_id < 50").select("doc_id")).collect() if r["doc_id"] is not None)
+    words, pairs = (Counter(), Counter()), (Counter(), Counter())
+    for i, t in rows:
+        y, w = i is not None and i < 50, t.lower().split()
+        words[y].update(w)
+        pairs[y].update(zip(w, w[1:]))
+    size = len(words[0] | words[1])
+    assert size > lmscore.LEAST_WORDS
+    want = []
+    for i, t in rows[:-1]:
+        w, mean = t.lower().split(), []
+        for y in (1, 0):
+            n, c = sum(words[y].values()) + size, words[y]
+            share = [0.0, *(pairs[y][a, b] / max(c[a], 1) for a, b in zip(w, w[1:]))]
+            mean.append(sum(-log(0.6 * s + 0.4 * (c[b] + 1) / n) for s, b in zip(share, w)) / len(w))
+        want.append((i, len(w), *mean, mean[0] - mean[1]))
+    assert len(got) == len(want) and all(np.allclose(a, b, rtol=1e-9, atol=1e-12) for a, b in zip(got, sorted(want)))
+    words_table = spark.createDataFrame([("ab",), ("é",), ("x" * 40,)], "w string").select("w", F.xxhash64("w").alias("a"), F.xxhash64(F.concat("w", F.lit("  "))).alias("b"))
+    assert all((r["a"], r["b"]) == (lmscore.word_key(r["w"]), lmscore.word_key(r["w"], 2)) for r in words_table.collect())
+
+
 def test_nearest(spark):
     rnd = np.random.default_rng(5)
     x = rnd.standard_normal((400, 16)).astype("float32")
