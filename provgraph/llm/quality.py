@@ -20,10 +20,13 @@ from .units import WHITE
 
 SYMBOLS = "#*$%&|<>"
 #: Limits (bytes up to, least ratio, most ratio) of whole texts; the last holds for all longer ones.
-BANDS = ((512, 1.05, 6.0), (2048, 1.15, 10.0), (16384, 1.25, 14.0), (1 << 62, 1.3, 20.0))
+#: They lie between the ratios of texts that pass the base rules (on sf0.1, by length: from 1.35, 1.44, 1.69, 1.92, 2.09, 2.21, 2.33
+#: up to 1.85, 2.16, 2.41, 2.61, 2.65, 2.76, 2.90) and those of base64 in words (at most 1.21 to 1.36), of random
+#: letters (at most 1.67 to 1.72 above 1,024 bytes; below, they compress like prose and pass) and of repetitive texts (3.26 at least).
+BANDS = ((512, 1.3, 2.3), (1024, 1.4, 2.6), (2048, 1.68, 2.9), (4096, 1.8, 3.2), (8192, 1.95, 3.5), (16384, 2.0, 3.5), (1 << 62, 2.1, 4.0))
 CHUNK = 4096
-#: The same for one chunk: a text fails when over half of its chunks lie outside.
-CHUNK_BAND = (1.2, 16.0)
+#: The same for one chunk (clean ones on sf0.1: 2.07 to 2.63): a text fails when over a fifth of its chunks lie outside, or both of two.
+CHUNK_BAND = (1.9, 3.5)
 SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, ratio double, bad_chunks long, n_chunks long, band string, kept boolean"
 
 
@@ -58,9 +61,9 @@ def base_counts(text: str | None) -> tuple[int, int, int, int, int]:
 
 
 def compression(raw: bytes, compress) -> tuple[float, int, int]:
-    """Ratio of the whole text, chunks outside their band, number of full chunks."""
+    """Ratio of the whole text, chunks outside their band, number of chunks; the last one ends with the text and may overlap the one before."""
     whole = len(raw) / len(compress(raw)) if raw else 1.0
-    chunks = [raw[i : i + CHUNK] for i in range(0, len(raw) - CHUNK + 1, CHUNK)] if len(raw) >= 2 * CHUNK else []
+    chunks = [raw[min(i, len(raw) - CHUNK) :][:CHUNK] for i in range(0, len(raw), CHUNK)] if len(raw) > CHUNK else []
     low, high = CHUNK_BAND
     return whole, sum(not low <= len(c) / len(compress(c)) <= high for c in chunks), len(chunks)
 
@@ -71,7 +74,7 @@ def verdict(size: int, ratio: float, bad: int, chunks: int, bands=BANDS) -> str:
         return "incompressible"
     if ratio > high:
         return "repetitive"
-    return "chunks" if 2 * bad > chunks else "ok"
+    return "chunks" if bad > (1 if chunks == 2 else chunks // 5) else "ok"
 
 
 def quality(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", level: int = 3, bands=BANDS) -> DataFrame:

@@ -120,6 +120,35 @@ def test_quality_counts():
     assert quality.verdict(100, 1.0, 0, 0) == "incompressible" and quality.verdict(5000, 50.0, 0, 0) == "repetitive" and quality.verdict(9000, 2.0, 2, 2) == "chunks" and quality.verdict(9000, 2.0, 1, 2) == "ok"
 
 
+def test_compression_bands_reject_planted_junk():
+    import zstandard
+
+    compress = zstandard.ZstdCompressor(level=3, write_content_size=False, write_checksum=False).compress
+    rnd = random.Random(8)
+    syllables = [a + b for a in "bcdfglmnprst" for b in ("a", "e", "i", "o", "an", "er")]
+    known = ["".join(rnd.choice(syllables) for _ in range(rnd.randrange(1, 4))) for _ in range(700)]
+    prose = lambda n: " ".join(known[min(int(rnd.expovariate(1 / 120)), 699)] for _ in range(n))[:n]
+    noise = lambda n: " ".join("".join(rnd.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rnd.randrange(3, 10))) for _ in range(n))[:n]
+
+    def coded(n):
+        b = base64.b64encode(rnd.randbytes(n)).decode()
+        return " ".join(b[i : i + 8] for i in range(0, len(b), 8))[:n]
+
+    def band(t):
+        raw = t.encode()
+        return quality.verdict(len(raw), *quality.compression(raw, compress))
+
+    for n in (400, 700, 1500, 3000, 6000, 12000, 60000):
+        assert band(prose(n)) == "ok" and band(coded(n)) == "incompressible"
+        assert band(prose(n // 2) + " " + "the same line again\n" * (n // 40)) != "ok"
+        if n > 1024:
+            assert band(noise(n)) == "incompressible"
+    for junk in (coded, noise):  # a third of a long text, in the middle and at its end
+        assert band(prose(20000) + junk(10000) + prose(3000)) != "ok" and band(prose(20000) + junk(10000)) != "ok"
+    one = prose(4096)
+    assert quality.compression((one + one + coded(3000)).encode(), compress)[1:] == (1, 3)
+
+
 def test_jaccard_core():
     cut = jaccard.Shingler()
     assert len(cut("")) == len(cut(None)) == len(cut(" \n\t ")) == 0 and len(cut("a b")) == 1 and len(cut("a b c d e f")) == 2
