@@ -7,7 +7,8 @@ a count table of fixed size knows as frequent last, by frequency class, and orde
 * Linked sets share an n-gram among the first n - ceil(t n) + 1 of the order, so sets meet in the buckets of those n-grams.
 * Within a bucket every set is first compared with one leader; what links is merged to components.  Only
   sets of a bucket that are then in different components are compared pair by pair, within the lengths that can link.  A large group
-  of copies so costs a comparison or two a copy, and no link between different texts is lost.
+  of copies so costs a comparison or two a copy, and no link that changes a component is lost.
+* links() compares all pairs that can link, also those within a component, so every link between different sets comes out with its overlap.
 * A comparison cuts the order into fragments, counts the overlap of each apart, sums up, and stops as soon as the
   fragments left can't reach the threshold.
 
@@ -253,12 +254,8 @@ def _shingler() -> Shingler:
     return _own[0]
 
 
-def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id of every document."""
-    spark = docs.sparkSession
-    ship(spark)
-    stage = Stage(spark)
-    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+def _distinct(docs: DataFrame, percent: int, stage: Stage) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """(rows, classes, buckets, texts): each document's set, the distinct sets, where they meet, and a text of each that meets another."""
     profile = stage.table(_profile(docs), "profile")
     sketch = total(profile.where(F.col("block").isNotNull()).select("model", "block", "counts"), (1 << SKETCH_BITS,) * 2)
     rows = profile.where(F.col("n").isNotNull()).select("doc_id", "n", "key")
@@ -267,6 +264,32 @@ def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_c
     alike = buckets.select("key").distinct().join(classes, "key").select("key", F.col("least").alias("_id"))
     # a row of each class that shares a bucket
     texts = stage.table(docs.join(alike, F.col("doc_id") == F.col("_id")).dropDuplicates(["doc_id"]).select("key", "text"), "texts")
+    return rows, classes, buckets, texts
+
+
+def links(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_a, doc_b, overlap of every two distinct sets that link, each named by the least id of its class, doc_a < doc_b.
+
+    The result itself grows with the square of a group of near copies.
+    """
+    spark = docs.sparkSession
+    ship(spark)
+    stage = Stage(spark)
+    _, classes, buckets, texts = _distinct(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), percent, stage)
+    pairs = stage.table(_open_pairs(buckets.select("gram", "key", "n", F.col("key").alias("root")), percent), "pairs")
+    found = _verify(pairs, texts, percent)
+    for side in ("a", "b"):
+        found = found.join(classes.select(F.col("key").alias(side), F.col("least").alias(f"_{side}")), side)
+    return found.select(F.least("_a", "_b").alias("doc_a"), F.greatest("_a", "_b").alias("doc_b"), "overlap")
+
+
+def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, n_shingles, component_id of every document."""
+    spark = docs.sparkSession
+    ship(spark)
+    stage = Stage(spark)
+    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    rows, classes, buckets, texts = _distinct(docs, percent, stage)
     stars = buckets.where((F.col("key") != F.col("leader")) & (100 * F.least("n", "leader_n") >= percent * F.greatest("n", "leader_n")))
     # all of them, however few n-grams they share in buckets of one leader: each link found here saves the pairs of two components
     first = stage.table(stars.select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct(), "stars")

@@ -86,6 +86,25 @@ def test_jaccard_against_brute_force(spark):
     assert got == root and len(set(root.values())) < len(rows)
 
 
+def test_jaccard_links_against_brute_force(spark):
+    """All links between different texts, also those that the components don't need."""
+    rnd = np.random.default_rng(11)
+    rows = []
+    for _ in range(5):
+        base = [f"t{x}" for x in rnd.integers(0, 4000, rnd.integers(110, 160))]
+        for k in range(7):
+            own = list(base)
+            own[5 * k] = f"u{k}"
+            rows.append((len(rows), " ".join(own)))
+    rows += [(len(rows), rows[0][1]), (len(rows) + 1, ""), (None, rows[1][1])]
+    sets = {i: shingles(t) for i, t in rows[:35]}
+    want = {(i, j, len(sets[i] & sets[j])) for i in sets for j in sets if i < j and 100 * len(sets[i] & sets[j]) >= 80 * len(sets[i] | sets[j])}
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = [tuple(r) for r in jaccard.links(docs).collect()]
+    assert len(got) == len(want) and set(got) == want and len(want) > 35
+    assert jaccard.links(docs.where("false")).count() == 0
+
+
 def test_token_store(spark, odd, none, tmp_path):
     import pyarrow.orc as orc
     from tokenizers import Tokenizer
