@@ -5,7 +5,8 @@ log-likelihood of their letter trigrams under each, and a path through the words
 switch.  The best path gives the spans; the language with most letters is the document's.
 
 The path that keeps to one language is the best one whenever no stretch of words gains more in another language than one
-switch costs; that is checked by sums over the words, and only other texts go through the recursion.
+switch costs, nor a beginning and an end together: a path of k stretches has k - 1 switches to pay, so only one that leaves the language
+out altogether has a stretch more than switches.  That is checked by sums over the words, and only other texts go through the recursion.
 
 Fit: rows outside the held-out fold with a language, thinned by hash to about `max_train_docs` for each language;
 at most `max_grams` trigrams.  Labelling covers every row and whole texts.
@@ -131,7 +132,8 @@ class Labeller:
         best = int(scores.sum(0).argmax())
         gain = np.zeros((len(scores) + 1, scores.shape[1]))
         np.cumsum(scores - scores[:, best : best + 1], 0, out=gain[1:])
-        if (gain - np.minimum.accumulate(gain)).max() <= self.penalty:
+        ends = gain.max() + (gain[-1] - gain).max()
+        if ends <= self.penalty and (gain - np.minimum.accumulate(gain)).max() <= self.penalty:
             return np.full(len(scores), best)
         v, tops, switched = [0.0] * scores.shape[1], [], []
         for row in scores.tolist():

@@ -182,6 +182,21 @@ def test_viterbi_against_all_paths():
     assert langid.Labeller(langid.LanguageModel()).label("abc")[0] == langid.UNKNOWN
 
 
+def test_path_without_the_best_single_language():
+    from itertools import product
+
+    model = langid.LanguageModel.fit([("x", "abc", 5), ("y", "bcd", 5), ("z", "cde", 3)], [("x", "Latin", 9), ("y", "Latin", 9), ("z", "Latin", 9)])
+    own = langid.Labeller(model, 8.0)
+    s = np.array([[0, -3.5, -14]] * 2 + [[-14, -3.5, 0]] * 2)
+    assert own.path(s).tolist() == [0, 0, 2, 2]
+    rnd = np.random.default_rng(2)
+    for _ in range(150):
+        s = -rnd.exponential(5, (5, 3)) * rnd.integers(0, 2, (5, 3))
+        s[:, 1] = -rnd.uniform(1, 4)
+        value = lambda p: sum(s[i, k] for i, k in enumerate(p)) - 8.0 * sum(a != b for a, b in zip(p, p[1:]))
+        assert abs(value(own.path(s)) - max(map(value, product(range(3), repeat=5)))) < 1e-9
+
+
 def test_kneser_ney_probabilities_sum_to_one():
     counts: dict = {}
     for word, n in (("abca", (3, 1)), ("abd", (1, 4)), ("ca", (0, 2))):
