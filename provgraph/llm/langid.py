@@ -11,8 +11,11 @@ out altogether has a stretch more than switches.  That is checked by sums over t
 Fit: rows outside the held-out fold with a language, thinned by hash to about `max_train_docs` for each language;
 at most `max_grams` trigrams.  Labelling covers every row and whole texts.
 
-Defined results: a text that is null or has no letter is `und` with score 0 and no spans; so is every text if
-nothing could be learned; words without letters join the span around them; repeated rows get a row each.
+A word in a script that no language was learned in has no candidate: its letters count as of none.  The evidence of a text is the mean
+log-likelihood of a letter on the path; a text fits its language if that is within the limit which the learned texts set.
+
+Defined results: a text that is null or has no letter of a learned script is `und` with score 0 and no spans; so is every text if
+nothing could be learned; a text with more letters of unlearned scripts than of any language is `und` with score 0; words without letters join the span around them; repeated rows get a row each.
 """
 
 from __future__ import annotations
@@ -48,6 +51,8 @@ _STARTS = [a for a, _ in SCRIPT_RANGES]
 #: A language is a candidate in a script that holds at least this share of its letters.
 LEAST_SHARE = 0.01
 OUT_OF_SCRIPT = -60.0
+#: The limit of evidence lies LOW_TIMES as far below the median of learned texts as their LOW quantile does.
+LOW, LOW_TIMES = 0.05, 3.0
 
 
 def script(c: str) -> str:
@@ -74,6 +79,8 @@ class LanguageModel:
     scores: dict[str, tuple] = field(default_factory=dict)
     floor: tuple = ()
     scripts: dict[str, tuple] = field(default_factory=dict)
+    #: Least evidence of a text that fits the language.
+    limits: dict[str, float] = field(default_factory=dict)
 
     @classmethod
     def fit(cls, counts: list[tuple[str, str, int]], scripts: list[tuple[str, str, int]], smoothing: float = 0.5) -> LanguageModel:
@@ -103,6 +110,8 @@ class Labeller:
         self.model, self.penalty = model, penalty
         self.rows = np.zeros((1024, len(model.languages)))
         self.size = np.zeros(1024, np.int64)
+        self.top = np.zeros(1024)
+        self.foreign = np.zeros(1024, np.int64)
         self.next = 0
         self.index = Memo(self._add, 500_000)
 
@@ -112,18 +121,18 @@ class Labeller:
             self.index.old, self.next = {}, 0
         i, self.next = self.next, self.next + 1
         if i == len(self.size):
-            self.rows, self.size = np.concatenate([self.rows, np.zeros_like(self.rows)]), np.concatenate([self.size, np.zeros_like(self.size)])
+            self.rows, self.size, self.top, self.foreign = (np.concatenate([x, np.zeros_like(x)]) for x in (self.rows, self.size, self.top, self.foreign))
         word = letters_of(token)
-        self.size[i] = len(word)
-        if not word:
-            self.rows[i] = 0
+        narrow = self.model.scripts.get(script(word[0])) if word else None
+        self.size[i], self.foreign[i] = (0, len(word)) if narrow is None else (len(word), 0)
+        if narrow is None:
+            self.rows[i] = self.top[i] = 0
             return i
         m, padded = self.model, f" {word} "
         get, floor = m.scores.get, m.floor
         row = [sum(c) for c in zip(*[get(padded[k : k + 3], floor) for k in range(len(word))])]
-        if (narrow := m.scripts.get(script(word[0]))) is not None:
-            row = [a + b for a, b in zip(row, narrow)]
-        top = max(row)
+        row = [a + b for a, b in zip(row, narrow)]
+        self.top[i] = top = max(row)
         self.rows[i] = [x - top for x in row]
         return i
 
@@ -152,21 +161,30 @@ class Labeller:
 
     def label(self, text: str | None) -> tuple[str, float, list[tuple[int, int, str]]]:
         """Language, share of letters in it, and spans (first word, words, language)."""
+        return self.judge(text)[:3]
+
+    def judge(self, text: str | None) -> tuple[str, float, list[tuple[int, int, str]], float | None]:
+        """The label and the evidence, None where no letter has a candidate."""
         tokens = words_of(text)
         if not tokens or not self.model.languages:
-            return UNKNOWN, 0.0, []
+            return UNKNOWN, 0.0, [], None
         if len(self.index) + len(tokens) > self.index.most:  # no renewal within a text
             self.index.clear()
             self.index.most = max(self.index.most, len(tokens) + 1)
         at = np.fromiter(map(self.index.__getitem__, tokens), np.int64, len(tokens))
         size = self.size[at]
         if not size.any():
-            return UNKNOWN, 0.0, []
-        path = self.path(self.rows[at])
+            return UNKNOWN, 0.0, [], None
+        rows = self.rows[at]
+        path = self.path(rows)
         by = np.bincount(path, size, len(self.model.languages))
-        best = int(by.argmax())
+        best, foreign = int(by.argmax()), int(self.foreign[at].sum())
+        evidence = float((self.top[at].sum() + rows[np.arange(len(path)), path].sum()) / size.sum())
         cuts = np.r_[0, np.flatnonzero(np.diff(path)) + 1, len(path)]
-        return self.model.languages[best], float(by[best] / by.sum()), [(int(a), int(b - a), self.model.languages[path[a]]) for a, b in zip(cuts, cuts[1:])]
+        spans = [(int(a), int(b - a), self.model.languages[path[a]]) for a, b in zip(cuts, cuts[1:])]
+        if foreign > by[best]:
+            return UNKNOWN, 0.0, spans, evidence
+        return self.model.languages[best], float(by[best] / (by.sum() + foreign)), spans, evidence
 
 
 def fit(docs: DataFrame, max_train_docs: int = 2500, max_grams: int = 200_000, folds: int = 4, held: int = 2) -> LanguageModel:
@@ -199,11 +217,23 @@ def fit(docs: DataFrame, max_train_docs: int = 2500, max_grams: int = 200_000, f
 
     counted = sample.mapInArrow(run, "kind int, lang string, item string, n long").groupBy("kind", "lang", "item").agg(F.sum("n").alias("n"))
     table = counted.orderBy(F.desc("kind"), F.desc("n"), "lang", "item").limit(max_grams).collect()
-    return LanguageModel.fit([(r["lang"], r["item"], r["n"]) for r in table if r["kind"] == 0], [(r["lang"], r["item"], r["n"]) for r in table if r["kind"] == 1])
+    model = LanguageModel.fit([(r["lang"], r["item"], r["n"]) for r in table if r["kind"] == 0], [(r["lang"], r["item"], r["n"]) for r in table if r["kind"] == 1])
+    shared = spark.sparkContext.broadcast(model)
+
+    def judged(batches):
+        labeller = Labeller(shared.value)
+        for batch in batches:
+            got = [(y, e) for t, y in zip(batch.column(0), batch.column(1).to_pylist()) for x, _, _, e in [labeller.judge(t.as_py())] if x == y]
+            if got:
+                yield pa.RecordBatch.from_arrays([pa.array([y for y, _ in got]), pa.array([e for _, e in got], pa.float64())], names=["lang", "evidence"])
+
+    spread = sample.mapInArrow(judged, "lang string, evidence double").groupBy("lang").agg(F.percentile("evidence", F.array(F.lit(LOW), F.lit(0.5))).alias("q"))
+    model.limits = {r["lang"]: r["q"][1] - LOW_TIMES * (r["q"][1] - r["q"][0]) - 0.01 for r in spread.collect()}  # a row for each language
+    return model
 
 
-def label(docs: DataFrame, model: LanguageModel, penalty: float = 8.0, spans: bool = False, folds: int = 4, held: int = 2) -> DataFrame:
-    """doc_id, held_out, lang_pred, score, n_spans (and spans) of every document."""
+def label(docs: DataFrame, model: LanguageModel, penalty: float = 8.0, spans: bool = False, folds: int = 4, held: int = 2, fits: bool = False) -> DataFrame:
+    """doc_id, held_out, lang_pred, score, n_spans (and spans; evidence and whether it fits) of every document."""
     ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     kind = pa.list_(pa.struct([("first", pa.int32()), ("words", pa.int32()), ("lang", pa.string())]))
@@ -211,14 +241,18 @@ def label(docs: DataFrame, model: LanguageModel, penalty: float = 8.0, spans: bo
     def run(batches):
         labeller = Labeller(shared.value, penalty)
         for batch in batches:
-            got = [labeller.label(t.as_py()) for t in batch.column(1)]
+            judged = [labeller.judge(t.as_py()) for t in batch.column(1)]
+            got = [x[:3] for x in judged]
             columns = [batch.column(0), pa.array([x for x, _, _ in got], pa.string()), pa.array([s for _, s, _ in got], pa.float64()), pa.array([len(s) for _, _, s in got], pa.int32())]
             names = ["doc_id", "lang_pred", "score", "n_spans"]
             if spans:
                 columns.append(pa.array([[{"first": a, "words": n, "lang": x} for a, n, x in s] for _, _, s in got], kind))
                 names.append("spans")
+            if fits:
+                columns += [pa.array([x[3] for x in judged], pa.float64()), pa.array([x[3] is not None and x[3] >= shared.value.limits.get(x[0], math.inf) for x in judged], pa.bool_())]
+                names += ["evidence", "fits"]
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    schema = "doc_id long, lang_pred string, score double, n_spans int" + ", spans array<struct<first:int,words:int,lang:string>>" * spans
+    schema = "doc_id long, lang_pred string, score double, n_spans int" + ", spans array<struct<first:int,words:int,lang:string>>" * spans + ", evidence double, fits boolean" * fits
     out = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
     return out.select("doc_id", (fold("doc_id", folds) == held).alias("held_out"), *out.columns[1:])

@@ -217,6 +217,20 @@ def test_held_out_accuracy(spark, sf):
     assert queries.op2_language_id(spark, sf).where(F.col("held_out") != (fold("doc_id", 4) == 2)).count() == 0
 
 
+def test_language_stage_rejects_what_no_language_fits(spark, sf):
+    rnd = np.random.default_rng(4)
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    noise = lambda letters: " ".join("".join(rnd.choice(list(letters), 7)) for _ in range(120))
+    planted = [(-1, noise("абвгдежзиклмнопрст")), (-2, noise("的一是不了人我在有他这")), (-3, noise("abcdefghijklmnopqrstuvwxyz")), (-4, noise("bcdfghjklmnpqrstvwxz"))]
+    rows = spark.createDataFrame([(i, t, None, "s", len(t)) for i, t in planted], "doc_id long, text string, lang string, source string, n_chars long")
+    every = docs.unionByName(rows.select(*(F.col(f.name).cast(f.dataType) for f in docs.schema)))
+    got = {r["doc_id"]: r for r in langid.label(every, langid.fit(every), fits=True).collect()}
+    assert got[-1]["lang_pred"] == got[-2]["lang_pred"] == langid.UNKNOWN and not got[-3]["fits"] and not got[-4]["fits"]
+    kept = {r["doc_id"] for r in corpus_pipeline.language(spark, every, sf).collect()}
+    clean = {r["doc_id"] for r in corpus_pipeline.quality_rules(spark, docs, sf).collect()}
+    assert not kept & {-1, -2, -3, -4} and len(clean & kept) >= 0.97 * len(clean)
+
+
 def test_pipeline(spark, sf, none):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     kept = {r["doc_id"] for r in corpus_pipeline.quality_rules(spark, docs, sf).collect()}
