@@ -42,7 +42,7 @@ def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None,
     end = END_ID.to_bytes(4, "little")
 
     def run(batches):
-        encode = unit_encoder(path)
+        encode = unit_encoder(path, added=True)
         for batch in batches:
             out: tuple[list, ...] = ([], [], [], [], [])
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1)):

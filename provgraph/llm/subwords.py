@@ -22,12 +22,13 @@ def default_path() -> str:
 
 
 @lru_cache(maxsize=2)
-def unit_encoder(path: str):
+def unit_encoder(path: str, added: bool = False):
     """encode(text) -> ids as little-endian unsigned 32-bit bytes; equal to the library's encoding of the whole text.
 
     Texts are cut before single spaces.  A unit met before comes from the memo; a new one goes
     through the library's pre-tokeniser and model.  Texts in which white space stands before a
-    space are cut by a pattern instead.
+    space are cut by a pattern instead.  With `added`, strings of added tokens get their ids, as the library's own setting has it, by
+    the library's encoding of the whole text that holds one; otherwise they are ordinary text.
     """
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     import public_tokenizers
@@ -35,6 +36,8 @@ def unit_encoder(path: str):
     from tokenizers import Tokenizer
 
     library = Tokenizer.from_file(path)
+    special = [t.content for t in library.get_added_tokens_decoder().values() if t.content] if added else []
+    whole = Tokenizer.from_file(path)
     library.encode_special_tokens = True  # their strings in a text are ordinary text
     tokenize, find = library.model.tokenize, regex.compile(public_tokenizers.PATTERN).findall
     plain = library.normalizer is None
@@ -65,6 +68,8 @@ def unit_encoder(path: str):
     def encode(text: str | None) -> bytes:
         if not text:
             return b""
+        if special and (not plain or any(x in text for x in special)):
+            return array("I", whole.encode(text, add_special_tokens=False).ids).tobytes()
         first, *rest = text.split(" ")
         if not rest or not first or first[-1].isspace():
             return b"".join(map(alone, cut_at_spaces(text)))

@@ -35,7 +35,7 @@ def _encoded(docs: DataFrame, path: str) -> DataFrame:
     end = END_ID.to_bytes(4, "little")
 
     def run(batches):
-        encode = unit_encoder(path)
+        encode = unit_encoder(path, added=True)
         for batch in batches:
             for i in range(0, batch.num_rows, 512):
                 part = batch.slice(i, 512)

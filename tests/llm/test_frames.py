@@ -129,6 +129,23 @@ def test_token_store(spark, odd, none, tmp_path):
     assert "PushedFilters: [" in plan and "doc_id" in plan.split("PushedFilters")[1][:60]
 
 
+def test_added_tokens_in_texts(spark):
+    """op5 and op9 encode as the library does by default, where the string of an added token is that token."""
+    from tokenizers import Tokenizer
+
+    from provgraph.llm.subwords import default_path
+
+    library = Tokenizer.from_file(default_path())
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "x<|endoftext|><|endoftext|> y\n <|endoftext", "plain text"]
+    want = [library.encode(t, add_special_tokens=False).ids + [0] for t in texts]
+    assert want[0] == [64, 220, 50256, 275, 0]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = [(r["n_tokens"], r["ids_crc32"]) for r in tokenstore.store(docs).orderBy("doc_id").collect()]
+    assert got == [(len(x), zlib.crc32(np.array(x, "<u4").tobytes())) for x in want]
+    lengths = {r["doc_id"]: r["n"] for r in packing.pack_documents(docs).groupBy("doc_id").agg(F.sum("length").alias("n")).collect()}
+    assert lengths == {i: len(x) for i, x in enumerate(want)}
+
+
 def test_packing(odd, none):
     got = packing.pack_documents(odd).collect()
     by, docs = {}, {}
