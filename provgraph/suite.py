@@ -135,6 +135,29 @@ for _k, _t in _SHAPES.items():
         register(_k, f"WITH {graph_cte((1, 14))} {to_sql(_q)}")(lambda s, d, q=_q: evaluate(build_graph(reader(s, d), (1, 14)), q))
     else:
         register(_k, f"{_cte(_q)} {to_sql(_q)}")(lambda s, d, q=_q: evaluate(_graph(s, d, q), q))
+
+# The same over all families, where a variable label means every label.  The entries without _full are cut to what their SQL covers; these
+# have no SQL form and are tested by brute force.  The order puts the fixed label first, so that no join pairs all vertices of one literal.
+
+
+def _full(s, d) -> DataFrame:
+    return build_graph(reader(s, d))
+
+
+def _how_e_full(s, d):
+    q = get("W-E")
+    return poly.how_text(derivations(evaluate(_full(s, d), q, order=[2, 0, 1]), q))
+
+
+register("kg_edges_full")(_full)
+register("label_profile_full")(lambda s, d: labels.profile(_full(s, d)))
+register("charsets_full")(
+    lambda s, d: cardinality.charsets(_full(s, d)).select(F.array_join("preds", ",").alias("preds"), "vertices", F.aggregate(F.map_values("edges"), F.lit(0).cast("long"), lambda a, x: a + x).alias("edges"))
+)
+register("charpairs_full")(lambda s, d: cardinality.charpairs(_full(s, d)).select(F.array_join("s_preds", ",").alias("s_preds"), F.array_join("o_preds", ",").alias("o_preds"), "p", "cnt"))
+register("bgp_varpred_full")(lambda s, d, q=parse_select(_SHAPES["bgp_varpred"], "bgp_varpred_full"): evaluate(_full(s, d), q))
+register("bgp_e_full")(lambda s, d: evaluate(_full(s, d), get("W-E"), order=[2, 0, 1]))
+register("how_e_full")(_how_e_full)
 _CROSS = parse_select("SELECT ?r ?s { ?n locatedIn region:1 . ?s locatedIn nation:3 }".replace("?r ?s", "?n ?s"), "cross")
 register("bgp_cross", f"{_cte(_CROSS)} {to_sql(_CROSS)}")(lambda s, d: evaluate(_graph(s, d, _CROSS), _CROSS, allow_cross=True))
 register("bgp_distinct", f"{_cte(get('W-S3'))} SELECT DISTINCT v_n1 AS n1, v_n2 AS n2 FROM ({to_sql(get('W-S3'))})")(lambda s, d: evaluate(_graph(s, d, get("W-S3")), get("W-S3"), keep_edges=False).select(F.col("v_n1").alias("n1"), F.col("v_n2").alias("n2")).distinct())

@@ -118,3 +118,31 @@ def test_no_product_of_halves_in_plans(spark, sf):
     assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
     scans = [x for x in plan.split("ReadSchema: ")[1:] if "c_custkey" in x]
     assert all("c_name" not in x.splitlines()[0] for x in scans) and F is not None
+
+
+def test_full_graph_entries(spark, sf):
+    """All families and every label, by brute force on the collected edges."""
+    from collections import Counter, defaultdict
+
+    from provgraph import suite
+    from provgraph.kg.build import BASE, LABELS
+
+    made = suite.queries()
+    rows = made["kg_edges_full"](spark, sf).collect()
+    assert {r["edge_id"] // BASE for r in rows} == set(LABELS)
+    out, sets = defaultdict(list), defaultdict(set)
+    for r in rows:
+        out[r["s"]].append(r)
+        sets[r["s"]].add(r["p"])
+    want = Counter(",".join(sorted(x)) for x in sets.values())
+    assert {r["preds"]: r["vertices"] for r in made["charsets_full"](spark, sf).collect()} == want
+    pairs = Counter((",".join(sorted(sets[r["s"]])), ",".join(sorted(sets[r["o"]])), r["p"]) for r in rows if r["o"] in sets)
+    assert {tuple(r)[:3]: r["cnt"] for r in made["charpairs_full"](spark, sf).collect()} == pairs
+    assert {r["p"] for r in made["label_profile_full"](spark, sf).collect()} == {x for own in LABELS.values() for x in own}
+    friends = [r["o"] for r in out["cust:7"] if r["p"] == "followed"]
+    ends = Counter((b["p"], b["o"]) for f in friends for b in out[f])
+    got = made["bgp_varpred_full"](spark, sf)
+    assert Counter(tuple(r) for r in got.select("v_l", "v_o").collect()) == ends
+    both = sum((Counter((a["p"], a["o"]) for a in out[r["s"]])[b["p"], b["o"]]) for r in rows if r["p"] == "followed" for b in out[r["o"]])
+    seen = made["bgp_e_full"](spark, sf).count()
+    assert seen == both and made["how_e_full"](spark, sf).count() <= seen
