@@ -1,16 +1,22 @@
 """Exact n-gram Jaccard join by vertical partitioning, with components of linked documents.
 
-A document is its set of distinct word 5-grams (64-bit hashes).  The global order of n-grams puts those that
-a count table of fixed size knows as frequent last, by frequency class, and orders by hash within; the order decides the work, never the result.
-
-* Documents with one set are one class from the start.
-* Linked sets share an n-gram among the first n - ceil(t n) + 1 of the order, so sets meet in the buckets of those n-grams.
-* Within a bucket every set is first compared with one leader; what links is merged to components.  Only
-  sets of a bucket that are then in different components are compared pair by pair, within the lengths that can link.  A large group
-  of copies so costs a comparison or two a copy, and no link that changes a component is lost.
-* links() compares all pairs that can link, also those within a component, so every link between different sets comes out with its overlap.
-* A comparison cuts the order into fragments, counts the overlap of each apart, sums up, and stops as soon as the
-  fragments left can't reach the threshold.
+A document is its set of distinct word 5-grams (64-bit hashes, which also give the global order).  The order is cut into fragments, so many
+that two sets which link agree wholly on one at least:
+
+* Linked sets of n and m n-grams differ in at most (n + m)(100 - t) / (100 + t) of them, each of which spoils one fragment.  Sets are banded by size
+  (each band 100 / t times the one before), a pair lies in one band or two neighbours, and a band's number of fragments exceeds that bound by a quarter.
+* A set's fragments are its elements.  Taken from the rarest on (a fragment that a single set has is rarest), as many as the set may have spoilt
+  and one more are enough to meet each partner.  Sets that share a common passage only need no fragment of it and so never meet.
+* Buckets (sets with one needed fragment) of the same members are one.  For each fragment a set has a byte: how many n-grams it holds
+  there and a checksum.  Partial differences of a pair, summed over the fragments, bound its overlap; what the bound leaves is
+  counted on whole sets, fragment by fragment, until the rest can't reach the threshold.
+* Links of a few partners for each set merge components first; then every pair of a bucket that is still in two components is compared.
+
+links() compares all pairs of a bucket, also those within a component, so every link between different sets comes out with its overlap.
+
+A fragment that many sets of one part of a task have is dealt out by the set as well, and a large bucket is compared in
+blocks, so neither lands in one task.  Sets with fewer fragments than they may have spoilt (very few, short ones)
+meet in addition by the n-grams of a prefix.
 
 Defined results: texts without words, empty or null have an empty set, n_shingles 0 and their own id as component; fewer
 words than n give one n-gram of the whole sequence; repeated rows are one class; rows with a null id get n_shingles and
@@ -19,24 +25,34 @@ a null component and link nothing; an empty table gives an empty result.
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .graph import components
 from .runtime import Stage, ship, shuffle_partitions
-from .tables import SCHEMA as TABLE_SCHEMA
-from .tables import blocks, total
 from .units import Memo
 
 N = 5
 PERCENT = 80
-SKETCH_BITS = 19
+#: Fragments above those that linked sets may have spoilt, as a share of them.
+SLACK = 0.25
+#: Parts of an n-gram set that a comparison counts one after the other.
 FRAGMENT_BITS = 3
-#: Members of one leader that one task compares.
+#: Members of one set that one task compares.
 MEMBERS = 512
+#: Sets of a bucket that are compared in one go.
+BLOCK = 1024
+#: Documents whose fragments are looked over for frequent ones together, and how often a fragment has to occur there.
+LOT, OFTEN, SALTS = 1024, 64, 1024
+#: Rows of one fragment that are held to be counted; with more it counts as larger than any.
+HELD, LARGE = 100_000, 1 << 40
+#: Rounds in which each set is compared with one partner, and partners looked at for it in a bucket.
+ROUNDS, LOOKS = 3, 8
 _K = np.uint64(0x9E3779B97F4A7C15)
 _K2 = np.uint64(0xBF58476D1CE4E5B9)
 
@@ -70,32 +86,83 @@ def needed(n: int, percent: int) -> int:
     return -(-percent * n // 100)
 
 
-def shared_needed(n: int, m: int, percent: int) -> int:
-    """Least number of n-grams that the prefixes of two linking sets of n and m have in common.
-
-    Of the prefix that ends first in the order, every common n-gram lies in the other prefix too; beyond it there are at most as many as that
-    set has left, and the larger set has most left.
-    """
-    return -(-percent * (n + m) // (100 + percent)) - needed(max(n, m), percent) + 1
-
-
-def slots(g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    mask = np.uint64((1 << SKETCH_BITS) - 1)
-    return (g & mask).astype(np.int64), ((g >> np.uint64(SKETCH_BITS)) & mask).astype(np.int64)
-
-
-class Order:
-    """Frequency classes from the count table; class 0 holds all that isn't known as frequent."""
+def spoilt(total: int, percent: int) -> int:
+    """Most n-grams in which two linking sets of `total` n-grams together can differ."""
+    return total * (100 - percent) // (100 + percent)
+
+
+@lru_cache(maxsize=8)
+def bands(percent: int) -> tuple[list[int], list[int]]:
+    """Largest size of each band, and the fragments of the pairs within it or between it and the next."""
+    top, fragments, size = [], [], 1.0
+    while size < 1 << 40:
+        r = int(size + 1e-9)
+        top.append(r)
+        most = spoilt(r + 100 * r // percent, percent)
+        fragments.append(int(np.ceil((1 + SLACK) * (most + 1))) + 2)
+        size *= 100 / percent
+    return top, fragments
+
+
+def places(g: np.ndarray, many: int) -> np.ndarray:
+    """Fragment of each n-gram: the order is cut at equal distances."""
+    return ((g >> np.uint64(32)) * np.uint64(many) >> np.uint64(32)).astype(np.int64)
+
+
+class Cutter:
+    """Signatures of a set's fragments, in the pairs of bands that it takes part in."""
+
+    def __init__(self, percent: int):
+        self.percent = percent
+        self.top, self.fragments = bands(percent)
+        self.tops = np.array(self.top)
+
+    def pairs_of_bands(self, n: int) -> list[tuple[int, int, int]]:
+        """(side, band, n-grams that may be spoilt): as the larger of two bands (side 0) and as the smaller or only one (side 1)."""
+        b = int(np.searchsorted(self.tops, n))
+        out = [(1, b, spoilt(n + 100 * n // self.percent, self.percent))]
+        return out if b == 0 else [(0, b - 1, spoilt(n + min(n, self.top[b - 1]), self.percent)), *out]
+
+    def __call__(self, g: np.ndarray):
+        """(side, signatures, how many more are needed than fragments that no other set has) of a set."""
+        mixed = None
+        for side, band, most in self.pairs_of_bands(len(g)):
+            if not most:
+                continue  # only equal sets link
+            if mixed is None:
+                with np.errstate(over="ignore"):
+                    mixed = g * _K ^ (g >> np.uint64(31))
+            at = places(g, self.fragments[band])
+            cuts = np.flatnonzero(np.r_[True, at[1:] != at[:-1]])
+            yield side, self.signed(np.add.reduceat(mixed, cuts), band), most + 1 - len(cuts)
+            if len(cuts) <= most:
+                yield side + 2, self.signed(mixed[: len(g) - needed(len(g), self.percent) + 1], band + 512), 1 << 26
+
+    @staticmethod
+    def signed(s: np.ndarray, band: int) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            s = (s ^ (s >> np.uint64(29))) * _K2 + np.uint64(band)
+        return s.view(np.int64)
+
+    def digest(self, g: np.ndarray, band: int) -> bytes:
+        """A byte for each fragment: n-grams there (15 at most) and four bits of their sum."""
+        many = self.fragments[band]
+        at = places(g, many)
+        count = np.minimum(np.bincount(at, minlength=many), 15).astype(np.uint8)
+        cuts = np.flatnonzero(np.r_[True, at[1:] != at[:-1]])
+        check = np.zeros(many, np.uint8)
+        with np.errstate(over="ignore"):
+            check[at[cuts]] = (np.add.reduceat(g * _K, cuts) >> np.uint64(60)).astype(np.uint8)
+        return (count << np.uint8(4) | check).tobytes()
 
-    def __init__(self, sketch: list[np.ndarray]):
-        mean = max(1.0, float(sketch[0].mean()))
-        least = mean + 10 * mean**0.5 + 30
-        self.classes = [np.where(s >= least, np.log2(np.maximum(s, 1) / least) * 4 + 1, 0).astype(np.uint8) for s in sketch]
 
-    def prefix(self, g: np.ndarray, percent: int) -> np.ndarray:
-        a, b = slots(g)
-        order = np.lexsort((g, np.minimum(self.classes[0][a], self.classes[1][b])))
-        return g[order[: len(g) - needed(len(g), percent) + 1]]
+def least_difference(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Lower bound of the n-grams in which pairs differ, from digests (pairs x fragments): partial differences, summed."""
+    a, b = (x >> 4).astype(np.int8), (y >> 4).astype(np.int8)
+    d = np.abs(a - b)
+    # as many n-grams, but others: two at least
+    d[(d == 0) & (x != y)] = 2
+    return d.sum(1, dtype=np.int64)
 
 
 def linked(x: np.ndarray, y: np.ndarray, percent: int) -> int:
@@ -117,126 +184,239 @@ def linked(x: np.ndarray, y: np.ndarray, percent: int) -> int:
     return overlap if 100 * overlap >= percent * (len(x) + len(y) - overlap) and overlap else 0
 
 
-def _profile(docs: DataFrame) -> DataFrame:
-    """A row (doc_id, n_shingles, key) for each document, and the blocks of each task's count table."""
-
-    def run(batches):
-        cut = Shingler()
-        sketch = [np.zeros(1 << SKETCH_BITS, np.int64) for _ in range(2)]
-        for batch in batches:
-            n, keys = [], []
-            for text in batch.column(1):
-                g = cut(text.as_py())
-                n.append(len(g))
-                keys.append(set_key(g) if len(g) else None)
-                for t, at in zip(sketch, slots(g)):
-                    np.add.at(t, at, 1)
-            none = pa.nulls(batch.num_rows, pa.int32())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int32()), pa.array(keys, pa.int64()), none, none, pa.nulls(batch.num_rows, pa.binary())], names=names)
-        for b in blocks(sketch):
-            m = b.num_rows
-            yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.int64()), *b.columns], names=names)
+# A row of the first shuffle is (sig, salt, key, meta).  meta >= 0: a signature of the set `key`, with its size, side and need; -1: a mark that the
+# signature is frequent; below: a document (sig holds its id), with its size, and whether it has an id and a set.
+_SIDE, _NEED, _SIZE, _ZERO = 28, (1 << 28) - 1, 30, 1 << 27
 
-    names = ["doc_id", "n", "key", "model", "block", "counts"]
-    return docs.mapInArrow(run, f"doc_id long, n int, key long, {TABLE_SCHEMA}")
 
-
-def _prefixes(docs: DataFrame, sketch: list[np.ndarray], percent: int) -> DataFrame:
-    """(gram, key, n): the first n-grams of each document's set."""
-    shared = docs.sparkSession.sparkContext.broadcast(Order(sketch))  # of a fixed size
+def _fragments(docs: DataFrame, percent: int) -> DataFrame:
+    names = ["sig", "salt", "key", "meta"]
+    lot_rows, least = LOT, OFTEN
 
     def run(batches):
-        cut, order = Shingler(), shared.value
+        cut, parts = Shingler(), Cutter(percent)
         seen = Memo(lambda key: True, 200_000)
         for batch in batches:
-            grams, keys, sizes = [], [], []
-            for text in batch.column(1):
-                g = cut(text.as_py())
-                if len(g) and (key := set_key(g)) not in seen and key not in seen.old:
+            for start in range(0, batch.num_rows, lot_rows):
+                lot = batch.slice(start, lot_rows)
+                sigs, keys, metas = [], [], []
+                ids, own, told = np.zeros(lot.num_rows, np.int64), np.zeros(lot.num_rows, np.int64), np.zeros(lot.num_rows, np.int64)
+                for i, (doc, text) in enumerate(zip(lot.column(0).to_pylist(), lot.column(1))):
+                    g = cut(text.as_py())
+                    n = len(g)
+                    key = set_key(g) if n else 0
+                    ids[i], own[i], told[i] = doc or 0, key, -2 - (n * 4 + (doc is not None) * 2 + (n > 0))
+                    if doc is None or not n or key in seen or key in seen.old:
+                        continue
                     seen[key]
-                    p = order.prefix(g, percent)
-                    grams.append(p)
-                    keys.append(np.full(len(p), key, np.int64))
-                    sizes.append(np.full(len(p), len(g), np.int32))
-            if grams:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(grams).view(np.int64)), pa.array(np.concatenate(keys)), pa.array(np.concatenate(sizes))], names=["gram", "key", "n"])
-
-    return docs.where(F.col("doc_id").isNotNull()).mapInArrow(run, "gram long, key long, n int")
-
+                    for side, s, need in parts(g):
+                        sigs.append(s)
+                        keys.append((key, len(s)))
+                        metas.append((n << _SIZE) + (side << _SIDE) + max(need + _ZERO, 0))
+                none = np.zeros(0, np.int64)
+                sig = np.concatenate(sigs) if sigs else none
+                sizes = [m for _, m in keys]
+                key, meta = np.repeat(np.array([k for k, _ in keys], np.int64), sizes), np.repeat(np.array(metas, np.int64), sizes)
+                salt = np.zeros(len(sig), np.int64)
+                order = np.sort(sig)
+                often = np.unique(order[: 1 - least][order[least - 1 :] == order[: 1 - least]]) if len(sig) >= least else none
+                if len(often):
+                    hot = np.isin(sig, often)
+                    salt[hot] = 1 + key[hot] % SALTS
+                many = len(often)
+                columns = [np.concatenate(x) for x in ((sig, often, ids), (salt, np.zeros(many + len(ids), np.int64)), (key, np.zeros(many, np.int64), own), (meta, np.full(many, -1), told))]
+                whole = pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=names)
+                for i in range(0, whole.num_rows, 50_000):
+                    yield whole.slice(i, 50_000)
+
+    return docs.mapInArrow(run, "sig long, salt long, key long, meta long")
+
+
+def _met(rows: DataFrame) -> DataFrame:
+    """Documents (doc, n, key; size null) and signatures that several sets have (sig, key, n, side, need, size), streamed over sorted rows."""
+    names = ["doc", "sig", "key", "n", "side", "need", "size"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64()]
+    most_held = HELD
+
+    def shared(sig, key, meta, size):
+        none = pa.nulls(len(sig), pa.int64())
+        side, need, n = meta >> _SIDE & 3, (meta & _NEED) - _ZERO, meta >> _SIZE
+        return pa.RecordBatch.from_arrays([none, *(pa.array(x, k, safe=False) for x, k in zip((sig, key, n, side, need, size), kinds[1:]))], names=names)
+
+    def documents(sig, key, meta):
+        told = -2 - meta
+        none = pa.nulls(len(sig), pa.int32())
+        return pa.RecordBatch.from_arrays([
+            pa.array(sig, mask=(told & 2) == 0), pa.nulls(len(sig), pa.int64()), pa.array(key, mask=(told & 1) == 0), pa.array((told >> 2).astype(np.int32)), none, none, pa.nulls(len(sig), pa.int64()),
+        ], names=names)
 
-def _buckets(prefixes: DataFrame) -> DataFrame:
-    """(gram, key, n, leader, leader_n) of n-grams with two sets or more, by streaming over sorted rows."""
+    def run(batches):
+        held, large = None, None  # rows of the last signature so far; the signature that is already larger than HELD
+        for batch in batches:
+            sig, salt, key, meta = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+            doc = meta < -1
+            if doc.any():
+                yield documents(sig[doc], key[doc], meta[doc])
+                sig, salt, key, meta = (x[~doc] for x in (sig, salt, key, meta))
+            rows = np.stack([sig, salt, key, meta])
+            if held is not None:
+                rows = np.concatenate([held, rows], 1)
+            if not rows.shape[1]:
+                continue
+            # a set comes from each task that has it
+            again = np.r_[False, (rows[:, 1:] == rows[:, :-1]).all(0)]
+            rows = rows[:, ~again]
+            first = np.r_[True, (rows[:2, 1:] != rows[:2, :-1]).any(0)]
+            at = np.flatnonzero(first)
+            held, rows, first, at = rows[:, at[-1] :], rows[:, : at[-1]], first[: at[-1]], at[:-1]
+            if len(at):
+                yield from groups(rows, at, large)
+                large = None
+            if held.shape[1] > most_held:
+                large = tuple(held[:2, 0].tolist())
+                out = held[:, held[3] >= 0]
+                yield from sliced(out[0, :-1], out[2, :-1], out[3, :-1], np.full(max(out.shape[1] - 1, 0), LARGE))
+                held = held[:, -1:]
+        if held is not None and held.shape[1]:
+            yield from groups(held, np.zeros(1, np.int64), large)
+
+    def groups(rows, at, large):
+        sizes = np.diff(np.r_[at, rows.shape[1]])
+        marked = np.bincount(np.repeat(np.arange(len(at)), sizes), rows[3] == -1) > 0
+        most = np.where(marked | (rows[1, at] > 0), LARGE, sizes)
+        if large is not None and tuple(rows[:2, 0].tolist()) == large:
+            most[0] = LARGE
+        size = np.repeat(most, sizes)
+        keep = (size > 1) & (rows[3] >= 0)
+        if keep.any():
+            yield from sliced(rows[0, keep], rows[2, keep], rows[3, keep], size[keep])
+
+    def sliced(sig, key, meta, size):
+        for i in range(0, len(sig), 50_000):
+            yield shared(*(x[i : i + 50_000] for x in (sig, key, meta, size)))
+
+    n = shuffle_partitions(rows.sparkSession)
+    return rows.repartition(n, "sig", "salt").sortWithinPartitions("sig", "salt", "key", "meta").mapInArrow(run, "doc long, sig long, key long, n int, side int, need int, size long")
+
+
+def _buckets(met: DataFrame) -> DataFrame:
+    """(sig, key, n, side, size): sets that meet in a fragment which they need, one bucket of those with the same members."""
+    own = Window.partitionBy("key", "side")
+    ranked = met.withColumn("_more", F.count("*").over(own)).withColumn("_rank", F.row_number().over(own.orderBy("size", "sig")))
+    wanted = ranked.where(F.col("_rank") <= F.col("need") + F.col("_more")).select("sig", "key", "n", F.pmod("side", F.lit(2)).alias("side"))
+    wanted = wanted.dropDuplicates(["sig", "key"])  # a set may come with and without a salt
+    groups = wanted.groupBy("sig").agg(F.count("*").alias("size"), F.bit_xor(F.xxhash64("key")).alias("_x"), F.bit_xor(F.xxhash64("key", F.lit(1))).alias("_y")).where("size > 1")
+    chosen = groups.groupBy("size", "_x", "_y").agg(F.min("sig").alias("_sig")).select("_sig", "size")
+    return wanted.join(chosen, F.col("sig") == F.col("_sig")).select("sig", "key", "n", "side", "size")
+
+
+def _sets(docs: DataFrame, alike: DataFrame, percent: int) -> DataFrame:
+    """(key, grams, d0, d1): the n-grams and digests of sets that meet another; alike: (key, _id of a document)."""
+    texts = docs.join(alike, F.col("doc_id") == F.col("_id")).select("key", "text")
 
     def run(batches):
-        gram = key = None
-        lead, alone = (None, 0), False
+        cut, parts = Shingler(), Cutter(percent)
         for batch in batches:
-            out: tuple[list, ...] = ([], [], [], [], [])
-            for g, k, n in zip(*(c.to_pylist() for c in batch.columns)):
-                if g != gram:
-                    gram, key, lead, alone = g, k, (k, n), True
-                    continue
-                if k == key:
-                    continue
-                key = k
-                rows = [(g, *lead), (g, k, n)] if alone else [(g, k, n)]
-                alone = False
-                for row in rows:
-                    for column, value in zip(out, (*row, *lead)):
+            out: tuple[list, ...] = ([], [], [], [])
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                g = cut(text.as_py())
+                if len(g) and set_key(g) == key:  # rows that repeat an id may hold other texts
+                    of = {side: parts.digest(g, band) for side, band, _ in parts.pairs_of_bands(len(g))}
+                    for column, value in zip(out, (key, g.tobytes(), of.get(0), of.get(1))):
                         column.append(value)
-            if out[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32()))], names=["gram", "key", "n", "leader", "leader_n"])
+            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), *(pa.array(c, pa.binary()) for c in out[1:])], names=["key", "grams", "d0", "d1"])
+
+    return texts.mapInArrow(run, "key long, grams binary, d0 binary, d1 binary").dropDuplicates(["key"])
 
-    n = shuffle_partitions(prefixes.sparkSession)
-    return prefixes.repartition(n, "gram").sortWithinPartitions("gram", "key").mapInArrow(run, "gram long, key long, n int, leader long, leader_n int")
 
+def _in_blocks(members: DataFrame, all_pairs: bool) -> DataFrame:
+    """Members with the block (of BLOCK sets, or two such for the pairs between them) in which they are compared."""
+    many = F.ceil(F.col("size") / BLOCK).cast("int")
+    blocks = members.withColumn("_many", many).withColumn("_own", F.pmod(F.xxhash64("key"), F.col("_many")).cast("int"))
+    if not all_pairs:
+        return blocks.withColumn("block", F.col("_own")).withColumn("half", F.lit(0))
+    others = F.sequence(F.lit(0), F.col("_many") - 1)
+    blocks = blocks.withColumn("_with", F.explode(others))
+    return blocks.withColumn("block", F.least("_own", "_with") * F.col("_many") + F.greatest("_own", "_with")).withColumn("half", (F.col("_own") > F.col("_with")).cast("int") + F.lit(2) * (F.col("_own") == F.col("_with")).cast("int"))
 
-def _open_pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) in different components that can link, by streaming over each bucket's rows sorted by length.
 
-    Their lengths allow it, and their prefixes share enough n-grams.
+def _candidates(members: DataFrame, percent: int, looks: int | None) -> DataFrame:
+    """Pairs (a, b) of one bucket in different components whose digests allow a link; `looks` partners of each set, or all.
+
+    members: (sig, key, n, digest, size, root), in blocks.  Where a block stands for two, pairs lie across its halves.
     """
 
+    def pairs(key, n, root, half, digest):
+        many = len(key)
+        x = np.frombuffer(b"".join(digest), np.uint8).reshape(many, -1)
+        order = np.argsort(n, kind="stable") if looks is None else np.random.default_rng(many).permutation(many)
+        key, n, root, half, x = key[order], n[order], root[order], half[order], x[order]
+        if looks is None:
+            reach = np.searchsorted(n, 100 * n // percent, "right")
+            for i in range(many):
+                j = np.arange(i + 1, reach[i])
+                j = j[(root[j] != root[i]) & ((half[j] == 2) | (half[j] != half[i]))]
+                for k in range(0, len(j), 4096):
+                    yield np.full(len(j[k : k + 4096]), i), j[k : k + 4096], x, key, n, root
+        else:
+            for step in range(1, min(looks, many - 1) + 1):
+                i = np.arange(many)
+                j = (i + step) % many
+                ok = (root[i] != root[j]) & (100 * np.minimum(n[i], n[j]) >= percent * np.maximum(n[i], n[j]))
+                yield i[ok], j[ok], x, key, n, root
+
+    def found(rows):
+        for i, j, x, key, n, _ in pairs(*rows):
+            if len(i):
+                ok = np.concatenate([least_difference(x[i[k : k + 512]], x[j[k : k + 512]]) for k in range(0, len(i), 512)]) <= spoilt(n[i] + n[j], percent)
+                if ok.any():
+                    yield np.minimum(key[i[ok]], key[j[ok]]), np.maximum(key[i[ok]], key[j[ok]])
+
     def run(batches):
-        gram, near = None, []
+        name, held = None, []
         for batch in batches:
-            a, b, need = [], [], []
-            for g, k, n, root in zip(*(c.to_pylist() for c in batch.columns)):
-                if g != gram:
-                    gram, near = g, []
-                if near and 100 * near[0][1] < percent * n:
-                    near = [x for x in near if 100 * x[1] >= percent * n]
-                for key, m, other in near:
-                    if other != root:
-                        a.append(min(k, key))
-                        b.append(max(k, key))
-                        need.append(shared_needed(n, m, percent))
-                near.append((k, n, root))
-                if len(a) > 100_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(need, pa.int32())], names=["a", "b", "need"])
-                    a, b, need = [], [], []
-            if a:
-                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(need, pa.int32())], names=["a", "b", "need"])
-
-    n = shuffle_partitions(members.sparkSession)
-    met = members.select("gram", "key", "n", "root").repartition(n, "gram").sortWithinPartitions("gram", "n", "key").mapInArrow(run, "a long, b long, need int")
-    return met.groupBy("a", "b").agg(F.count("*").alias("k"), F.max("need").alias("need")).where("k >= need").select("a", "b")
-
-
-def _verify(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) that link, with their overlap; members of a leader are dealt in lots of MEMBERS."""
+            sig, block, key, n, root, half = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(6))
+            digest = batch.column(6).to_pylist()
+            cuts = np.flatnonzero(np.r_[True, (sig[1:] != sig[:-1]) | (block[1:] != block[:-1])]) if len(sig) else []
+            out = []
+            for a, b in zip(cuts, [*cuts[1:], len(sig)]):
+                if (sig[a], block[a]) != name:
+                    out += finish(held)
+                    name, held = (sig[a], block[a]), []
+                held.append((key[a:b], n[a:b].astype(np.int64), root[a:b], half[a:b], digest[a:b]))
+            yield from told(out)
+        yield from told(finish(held))
+
+    def finish(held):
+        if not held:
+            return []
+        rows = [np.concatenate([h[k] for h in held]) for k in range(4)]
+        return list(found((*rows, [d for h in held for d in h[4]]))) if len(rows[0]) > 1 else []
+
+    def told(out):
+        if out:
+            a, b = (np.concatenate([x[k] for x in out]) for k in (0, 1))
+            for i in range(0, len(a), 50_000):
+                yield pa.RecordBatch.from_arrays([pa.array(a[i : i + 50_000]), pa.array(b[i : i + 50_000])], names=["a", "b"])
+
+    rows = _in_blocks(members, looks is None).select("sig", "block", "key", "n", "root", "half", "digest")
+    count = shuffle_partitions(members.sparkSession)
+    return rows.repartition(count, "sig", "block").sortWithinPartitions("sig", "block", "key").mapInArrow(run, "a long, b long").distinct()
+
+
+def _verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) that link, with their overlap; members of a set are dealt in lots of MEMBERS."""
     lots = pairs.groupBy("a").agg(F.ceil(F.count("*") / MEMBERS).cast("int").alias("lots"))
     members = pairs.join(lots, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("lots")).cast("int").alias("lot"))
-    members = members.join(texts.select(F.col("key").alias("b"), "text"), "b").select(F.col("a").alias("of"), F.col("lot").alias("part"), "b", F.col("text").alias("other"))
-    leaders = lots.select(F.col("a").alias("la"), "lots").join(texts.select(F.col("key").alias("la"), "text"), "la").select("la", "text", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lot"))
+    members = members.join(sets.select(F.col("key").alias("b"), "grams"), "b").select(F.col("a").alias("of"), F.col("lot").alias("part"), "b", F.col("grams").alias("other"))
+    leaders = lots.select(F.col("a").alias("la"), "lots").join(sets.select(F.col("key").alias("la"), "grams"), "la").select("la", "grams", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lot"))
 
     def run(key, left, right):
         a, b, overlap = [], [], []
-        cut = _shingler()
         if left.num_rows and right.num_rows:
-            x = cut(left.column("text")[0].as_py())
+            x = np.frombuffer(left.column("grams")[0].as_py(), np.uint64)
             for i, name in enumerate(right.column("b").to_pylist()):
-                if n := linked(x, cut(right.column("other")[i].as_py()), percent):
+                if n := linked(x, np.frombuffer(right.column("other")[i].as_py(), np.uint64), percent):
                     a.append(key[0].as_py())
                     b.append(name)
                     overlap.append(n)
@@ -245,26 +425,27 @@ def _verify(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     return leaders.groupBy("la", "lot").cogroup(members.groupBy("of", "part")).applyInArrow(run, "a long, b long, overlap long")
 
 
-_own: list[Shingler] = []
-
+def _distinct(docs: DataFrame, percent: int, stage: Stage) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """(rows, classes, members, sets): each document's set, the distinct sets, the buckets in which they meet, and the sets that meet another."""
+    met = stage.table(_met(_fragments(docs, percent)), "met")
+    rows = met.where("sig is null").select(F.col("doc").alias("doc_id"), "n", "key")
+    classes = stage.table(rows.where("key is not null and doc_id is not null").groupBy("key").agg(F.min("doc_id").alias("least")), "classes")
+    buckets = stage.table(_buckets(met.where("sig is not null")), "buckets")
+    alike = buckets.select("key").distinct().join(classes, "key").select("key", F.col("least").alias("_id"))
+    sets = stage.table(_sets(docs, alike, percent), "sets")
+    members = buckets.join(sets.select(F.col("key").alias("_key"), "d0", "d1"), F.col("key") == F.col("_key"))
+    members = stage.table(members.select("sig", "key", "n", "size", F.when(F.col("side") == 0, F.col("d0")).otherwise(F.col("d1")).alias("digest")), "members")
+    return rows, classes, members, sets
 
-def _shingler() -> Shingler:
-    if not _own:
-        _own.append(Shingler())
-    return _own[0]
 
+def _named(members: DataFrame, roots: DataFrame | None) -> DataFrame:
+    """Members of buckets that hold several components, with their component."""
+    if roots is None:
+        return members.withColumn("root", F.col("key"))
+    named = members.join(roots, F.col("key") == F.col("node"), "left").withColumn("root", F.coalesce("root", "key")).drop("node")
+    mixed = named.groupBy("sig").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo <> _hi").select(F.col("sig").alias("_sig"))
+    return named.join(mixed, F.col("sig") == F.col("_sig"), "left_semi")
 
-def _distinct(docs: DataFrame, percent: int, stage: Stage) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
-    """(rows, classes, buckets, texts): each document's set, the distinct sets, where they meet, and a text of each that meets another."""
-    profile = stage.table(_profile(docs), "profile")
-    sketch = total(profile.where(F.col("block").isNotNull()).select("model", "block", "counts"), (1 << SKETCH_BITS,) * 2)
-    rows = profile.where(F.col("n").isNotNull()).select("doc_id", "n", "key")
-    classes = stage.table(rows.where(F.col("key").isNotNull() & F.col("doc_id").isNotNull()).groupBy("key").agg(F.min("doc_id").alias("least")), "classes")
-    buckets = stage.table(_buckets(_prefixes(docs, sketch, percent)), "buckets")
-    alike = buckets.select("key").distinct().join(classes, "key").select("key", F.col("least").alias("_id"))
-    # a row of each class that shares a bucket
-    texts = stage.table(docs.join(alike, F.col("doc_id") == F.col("_id")).dropDuplicates(["doc_id"]).select("key", "text"), "texts")
-    return rows, classes, buckets, texts
 
 
 def links(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -275,9 +456,9 @@ def links(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_
     spark = docs.sparkSession
     ship(spark)
     stage = Stage(spark)
-    _, classes, buckets, texts = _distinct(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), percent, stage)
-    pairs = stage.table(_open_pairs(buckets.select("gram", "key", "n", F.col("key").alias("root")), percent), "pairs")
-    found = _verify(pairs, texts, percent)
+    _, classes, members, sets = _distinct(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), percent, stage)
+    pairs = stage.table(_candidates(_named(members, None), percent, None), "pairs")
+    found = _verify(pairs, sets, percent)
     for side in ("a", "b"):
         found = found.join(classes.select(F.col("key").alias(side), F.col("least").alias(f"_{side}")), side)
     return found.select(F.least("_a", "_b").alias("doc_a"), F.greatest("_a", "_b").alias("doc_b"), "overlap")
@@ -289,17 +470,21 @@ def join(docs: DataFrame, percent: int = PERCENT, id_col: str = "doc_id", text_c
     ship(spark)
     stage = Stage(spark)
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    rows, classes, buckets, texts = _distinct(docs, percent, stage)
-    stars = buckets.where((F.col("key") != F.col("leader")) & (100 * F.least("n", "leader_n") >= percent * F.greatest("n", "leader_n")))
-    # all of them, however few n-grams they share in buckets of one leader: each link found here saves the pairs of two components
-    first = stage.table(stars.select(F.col("leader").alias("a"), F.col("key").alias("b")).distinct(), "stars")
-    found = stage.table(_verify(first, texts, percent), "links")
-    roots = components(found, stage)
-    named = buckets.join(roots, F.col("key") == F.col("node"), "left").select("gram", "key", "n", F.coalesce("root", "key").alias("root"))
-    mixed = named.groupBy("gram").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("gram")
-    second = stage.table(_open_pairs(named.join(mixed, "gram", "left_semi"), percent).join(first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"), "open")
-    more = stage.table(_verify(second, texts, percent), "links")
-    roots = components(found.select("a", "b").unionByName(more.select("a", "b")), stage)
+    rows, classes, members, sets = _distinct(docs, percent, stage)
+    edges, tested, roots = None, None, None
+    for k in range(ROUNDS + 1):
+        open_ = _candidates(_named(members, roots), percent, LOOKS if k < ROUNDS else None)
+        if k < ROUNDS:  # one partner each
+            both = open_.select("a", "b").unionByName(open_.select(F.col("b").alias("a"), F.col("a").alias("b")))
+            one = both.groupBy("a").agg(F.min_by("b", F.xxhash64("b", F.lit(k))).alias("b"))
+            open_ = one.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        if tested is not None:
+            open_ = open_.join(tested, ["a", "b"], "left_anti")
+        open_ = stage.table(open_, "open")
+        found = stage.table(_verify(open_, sets, percent).select("a", "b"), "links")
+        tested = open_ if tested is None else tested.unionByName(open_)
+        edges = found if edges is None else edges.unionByName(found)
+        roots = components(edges, stage)
     owned = classes.join(roots, F.col("key") == F.col("node"), "left").select("key", "least", F.coalesce("root", "key").alias("root"))
     least = owned.groupBy("root").agg(F.min("least").alias("component_id"))
     names = owned.join(least, "root").select(F.col("key").alias("_key"), "component_id")

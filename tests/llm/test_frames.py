@@ -86,6 +86,34 @@ def test_jaccard_against_brute_force(spark):
     assert got == root and len(set(root.values())) < len(rows)
 
 
+def test_jaccard_frequent_fragments_and_blocks(spark, monkeypatch):
+    """Salted fragments, held-back ones and buckets of several blocks give the same components and links."""
+    for name, value in (("BLOCK", 3), ("OFTEN", 4), ("LOT", 8), ("HELD", 5), ("SALTS", 3), ("ROUNDS", 1)):
+        monkeypatch.setattr(jaccard, name, value)
+    rnd = np.random.default_rng(23)
+    passage, rows = [f"p{x}" for x in range(40)], []
+    for g in range(4):
+        base = [f"t{x}" for x in rnd.integers(0, 4000, 60)]
+        for _ in range(14):
+            own = list(base)
+            for _ in range(rnd.integers(0, 3)):
+                own[rnd.integers(0, len(own))] = f"u{rnd.integers(0, 50)}"
+            rows.append((len(rows), " ".join(own + passage if g % 2 else own)))
+    rows += [(len(rows) + k, " ".join([f"s{k}x{i}" for i in range(12)] + passage)) for k in range(20)]
+    rows += [(len(rows) + k, "a b c d e f g h" + " i" * (k % 2)) for k in range(6)]
+    sets = {i: shingles(t) for i, t in rows}
+    want = {(i, j) for i in sets for j in sets if i < j and sets[i] != sets[j] and 100 * len(sets[i] & sets[j]) >= 80 * len(sets[i] | sets[j])}
+    root = {i: i for i in sets}
+    for i, j in sorted(want | {(i, j) for i in sets for j in sets if i < j and sets[i] == sets[j]}):
+        a, b = root[i], root[j]
+        root = {k: min(a, b) if v in (a, b) else v for k, v in root.items()}
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r["doc_id"]: r["component_id"] for r in jaccard.join(docs).collect()} == root
+    least = {i: min(j for j in sets if sets[j] == sets[i]) for i in sets}
+    got = {(r["doc_a"], r["doc_b"]) for r in jaccard.links(docs).collect()}
+    assert got == {(i, j) for i, j in want if least[i] == i and least[j] == j}
+
+
 def test_jaccard_links_against_brute_force(spark):
     """All links between different texts, also those that the components don't need."""
     rnd = np.random.default_rng(11)
