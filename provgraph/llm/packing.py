@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .runtime import Stage, ship, shuffle_partitions
-from .subwords import END_ID, default_path, unit_encoder
+from .subwords import END_ID, default_path, lot_encoder
 
 PIECE_SCHEMA = "doc_id long, piece int, start long, length int, ids_crc32 long"
 PLAN_SCHEMA = "length int, rank_from long, rank_to long, seq_from long, at int"
@@ -42,11 +42,11 @@ def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None,
     end = END_ID.to_bytes(4, "little")
 
     def run(batches):
-        encode = unit_encoder(path, added=True)
-        for batch in batches:
+        encode = lot_encoder(path, added=True)
+        for batch in (b.slice(i, 512) for b in batches for i in range(0, b.num_rows, 512)):
             out: tuple[list, ...] = ([], [], [], [], [])
-            for i, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                ids = encode(text.as_py()) + end
+            for i, ids in zip(batch.column(0).to_pylist(), encode(batch.column(1).to_pylist())):
+                ids += end
                 for k, (start, length) in enumerate(cut_points(len(ids) // 4, capacity)):
                     for column, value in zip(out, (i, k, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]))):
                         column.append(value)

@@ -1,4 +1,4 @@
-"""Whole-text encoding with the tokenizers library, by memoised units."""
+"""Whole-text encoding with the tokenizers library, by units that recur."""
 
 from __future__ import annotations
 
@@ -6,13 +6,18 @@ import os
 from array import array
 from functools import lru_cache
 
-from .units import Memo, cut_at_spaces
+from .units import cut_at_spaces
 
 END_ID = 0
 _SHOWN = {*range(33, 127), *range(161, 173), *range(174, 256)}
 #: Byte-level vocabularies write a byte that can be shown as itself, the others as the characters from 256 on.
 _HIDDEN = [b for b in range(256) if b not in _SHOWN]
 BYTE_CHARS = [chr(b) if b in _SHOWN else chr(256 + _HIDDEN.index(b)) for b in range(256)]
+#: Units that a worker remembers in each of two generations; with some 200 bytes each that is 100 MB in all.
+REMEMBERED = 250_000
+#: Characters of texts that are looked up together.
+LOT_CHARS = 2_000_000
+_MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 
 
 def default_path() -> str:
@@ -23,9 +28,16 @@ def default_path() -> str:
 
 @lru_cache(maxsize=2)
 def unit_encoder(path: str, added: bool = False):
-    """encode(text) -> ids as little-endian unsigned 32-bit bytes; equal to the library's encoding of the whole text.
+    """encode(text) -> ids as little-endian unsigned 32-bit bytes; equal to the library's encoding of the whole text."""
+    lot = lot_encoder(path, added)
+    return lambda text: lot([text])[0]
 
-    Texts are cut before single spaces.  A unit met before comes from the memo; a new one goes
+
+@lru_cache(maxsize=2)
+def lot_encoder(path: str, added: bool = False, remembered: int = REMEMBERED):
+    """encode(texts) -> the ids of each text as little-endian unsigned 32-bit bytes; equal to the library's encoding of the whole text.
+
+    Texts are cut before single spaces.  Units that were met before come from memory; the new ones of all texts together go
     through the library's pre-tokeniser and model.  Texts in which white space stands before a
     space are cut by a pattern instead.  With `added`, strings of added tokens get their ids, as the library's own setting has it, by
     the library's encoding of the whole text that holds one; otherwise they are ordinary text.
@@ -37,46 +49,101 @@ def unit_encoder(path: str, added: bool = False):
 
     library = Tokenizer.from_file(path)
     special = [t.content for t in library.get_added_tokens_decoder().values() if t.content] if added else []
-    whole = Tokenizer.from_file(path)
-    library.encode_special_tokens = True  # their strings in a text are ordinary text
+    library.encode_special_tokens = not added  # else their strings in a text are ordinary text
     tokenize, find = library.model.tokenize, regex.compile(public_tokenizers.PATTERN).findall
     plain = library.normalizer is None
 
-    def shown(piece: str) -> str:
-        return piece.replace(" ", "\u0120") if piece.isascii() and piece.isprintable() else "".join(map(BYTE_CHARS.__getitem__, piece.encode()))
+    def model(shown: str) -> bytes:
+        return array("I", [t.id for t in tokenize(shown)]).tobytes()
 
-    piece_ids = Memo(lambda piece: array("I", [t.id for t in tokenize(shown(piece))]).tobytes()).__getitem__
+    def whole(text: str) -> bytes:
+        return array("I", library.encode(text, add_special_tokens=False).ids).tobytes()
 
     def alone(text: str) -> bytes:
-        if not plain:
-            return array("I", library.encode(text, add_special_tokens=False).ids).tobytes()
-        return b"".join(map(piece_ids, find(text)))
+        return b"".join([model("".join(map(BYTE_CHARS.__getitem__, piece.encode()))) for piece in find(text)]) if plain else whole(text)
 
-    marks = {c: piece_ids(c) for c in ".,;:!?"} if plain else {}
+    now: dict[str, bytes] = {}
+    before: dict[str, bytes] = {}
+    tails: dict[str, bytes] = {}
 
-    def later(unit: str) -> bytes | None:
+    def learn(units: set) -> None:
         """Ids of a space and the unit; None if more white space follows, so that the unit has no end of its own."""
-        if not unit or unit[-1].isspace():
-            return None
-        word, mark = (unit[:-1], marks[unit[-1]]) if unit[-1] in marks else (unit, None)
-        if plain and word.isalpha() and (word.isascii() or max(word) < "\u0250"):  # one word of Latin letters, perhaps with one mark: no need for the pre-tokeniser
-            return piece_ids(" " + word) + mark if mark else piece_ids(" " + word)
-        return alone(" " + unit)
-
-    get = Memo(later, 700_000).__getitem__
-
-    def encode(text: str | None) -> bytes:
-        if not text:
-            return b""
-        if special and (not plain or any(x in text for x in special)):
-            return array("I", whole.encode(text, add_special_tokens=False).ids).tobytes()
-        first, *rest = text.split(" ")
-        if not rest or not first or first[-1].isspace():
-            return b"".join(map(alone, cut_at_spaces(text)))
-        last = alone(" " + rest.pop())
-        try:
-            return alone(first) + b"".join(map(get, rest)) + last
-        except TypeError:  # a None: white space before a space
-            return b"".join(map(alone, cut_at_spaces(text)))
+        nonlocal now, before
+        if len(now) > remembered:
+            now, before = {}, now
+        new = units.difference(now)
+        for unit in new.intersection(before):
+            now[unit] = before[unit]
+        for unit in new.difference(before):
+            if not unit or unit[-1].isspace():
+                now[unit] = None
+            elif not plain:
+                now[unit] = alone(" " + unit)
+            else:
+                # letters, perhaps with marks behind them, or marks or digits only, are one piece or two: no need for the pre-tokeniser
+                word = unit if unit.isalpha() else unit.rstrip(_MARKS)
+                if not word or word is unit and word.isascii() and word.isdigit():
+                    now[unit] = model("Ġ" + unit)
+                elif not word.isalpha():
+                    now[unit] = alone(" " + unit)
+                else:
+                    ids = now.get(word)
+                    if ids is None:
+                        if word.isascii():
+                            ids = model("Ġ" + word)
+                        elif max(word) < "ɐ":  # Latin: no letter that the pattern could see otherwise
+                            ids = model("Ġ" + "".join(map(BYTE_CHARS.__getitem__, word.encode())))
+                        else:
+                            now[unit] = alone(" " + unit)
+                            continue
+                        now[word] = ids
+                    if len(word) < len(unit):
+                        tail = unit[len(word) :]
+                        end = tails.get(tail)
+                        if end is None:
+                            end = model(tail)
+                            if len(tails) < remembered:
+                                tails[tail] = end
+                        now[unit] = ids + end
+
+    def encode_lot(texts: list[str]) -> list[bytes]:
+        split = [text.split(" ") for text in texts]
+        units: set[str] = set()
+        for x in split:
+            units.update(x[1:])
+        learn(units)
+        get, out = now.__getitem__, []
+        for text, x in zip(texts, split):
+            first, last = x[0], x[-1]
+            if len(x) == 1 or not first or first[-1].isspace():
+                out.append(b"".join(map(alone, cut_at_spaces(text))))
+                continue
+            try:
+                ids = b"".join(map(get, x[1:-1]))
+            except TypeError:  # a None: white space before a space
+                out.append(b"".join(map(alone, cut_at_spaces(text))))
+                continue
+            end = get(last)
+            out.append(alone(first) + ids + (alone(" " + last) if end is None else end))
+        return out
+
+    def encode(texts: list[str | None]) -> list[bytes]:
+        out: list[bytes] = [b""] * len(texts)
+        lot, chars = [], 0
+        for i, text in enumerate(texts):
+            if not text:
+                continue
+            if special and (not plain or any(x in text for x in special)):
+                out[i] = whole(text)
+                continue
+            lot.append(i)
+            chars += len(text)
+            if chars > LOT_CHARS:
+                for k, ids in zip(lot, encode_lot([texts[k] for k in lot])):
+                    out[k] = ids
+                lot, chars = [], 0
+        for k, ids in zip(lot, encode_lot([texts[k] for k in lot])):
+            out[k] = ids
+        return out
 
     return encode

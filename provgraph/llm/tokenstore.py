@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .runtime import Stage, ship, shuffle_partitions
-from .subwords import END_ID, default_path, unit_encoder
+from .subwords import END_ID, default_path, lot_encoder
 
 OPTIONS = {
     "compression": "zstd",
@@ -35,11 +35,11 @@ def _encoded(docs: DataFrame, path: str) -> DataFrame:
     end = END_ID.to_bytes(4, "little")
 
     def run(batches):
-        encode = unit_encoder(path, added=True)
+        encode = lot_encoder(path, added=True)
         for batch in batches:
             for i in range(0, batch.num_rows, 512):
                 part = batch.slice(i, 512)
-                ids = [encode(t.as_py()) + end for t in part.column(1)]
+                ids = [x + end for x in encode(part.column(1).to_pylist())]
                 sizes = np.fromiter((len(x) // 4 for x in ids), np.int32, len(ids))
                 offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
                 flat = pa.array(np.frombuffer(b"".join(ids), np.int32))
