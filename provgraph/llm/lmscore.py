@@ -1,189 +1,222 @@
 """Cross-entropy difference of documents under two matched n-gram models.
 
-The target model counts the documents chosen as target, the background model all the others.  Both share the words of the
-whole corpus, the same order, interpolation and add-one floor.  A document's score is the mean over its words of the target
-loss minus the background loss: the lower, the closer it is to the target.
-
-Words and bigrams are counted by themselves, in written tables that grow with the corpus: a word has a 64-bit key, for which
-a seed is chosen under which no two words of the corpus share one, and a bigram is the pair of its words' keys.  Losses are computed once for each
-bigram and joined back to the texts.  Hot words (HOT_WORDS) and hot bigrams (HOT_PAIRS) are sent to the workers
-instead; that bounds the share of a task and decides the work, never the result.
-
-The floor spreads over all words of the corpus, and over LEAST_WORDS at least.
-
-Defined results: null and empty texts have no words, losses and score 0; if either side is empty, its model is
-uniform; a null id is never target; repeated rows count as often as they occur; labels repeated for a
-document count once.
+The target model counts the documents chosen as target, the background model the whole corpus.  Both share the words of the whole corpus as
+vocabulary, the order and the smoothing: p(w | v) = (c(v, w) + MASS p(w)) / (c(v) + MASS) with p(w) = (c(w) + 1) / (N + V), a
+distribution over the vocabulary and the end of a text.  Background counts are scaled to the target's number of words, so that
+both back off alike at like evidence.  A document's own words are left out of every count that it is scored with.  Its score
+is the mean over its words (and its end) of the target loss minus the background loss: the lower, the closer it is to the target.
+
+Every word and every bigram of the corpus is counted by its 64-bit key; nothing is capped or thinned.  Documents are taken in chunks.  A
+chunk asks for the counts of its distinct keys, sorted and cut into ranges of keys (packed, some 6 bytes a key); each range is summed
+over all chunks in one task, and each chunk gets its counts back in the order of its request.  So a key costs each chunk one entry,
+however often it occurs, and no task holds more than a range of keys or a chunk.  Chunks keep their texts as word numbers, so texts
+are read once.  All that is gathered grows with the corpus.
+
+Defined results: null and empty texts have no words, losses and score 0; if no document is target, its model is uniform; a null
+id is never target; repeated rows count as often as they occur (a copy's counts remain when a row's own are left out); labels
+repeated for a document count once.
 """
 
 from __future__ import annotations
 
-from collections import Counter
-
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import Stage, ship
-from .units import Memo
-
-WORD_BITS, PAIR_BITS = 18, 20
-PAIR_WEIGHT = 0.6
-LEAST_WORDS = 1 << WORD_BITS
-HOT_WORDS, HOT_PAIRS = 4096, 50_000
-#: Entries of a task's counter before it is sent on.
-HELD = 400_000
-#: The key before a text's first word.
-START = 0
-#: Sizes of the hashed form: words and pairs of the background, then of the target.
-SIZES = (1 << WORD_BITS, 1 << PAIR_BITS) * 2
-_MIX = np.uint64(0x9E3779B97F4A7C15)
-
-
-class Slots:
-    """Hashed form for small vocabularies, which tests compare with: word slots of a text and pair slots of its neighbours."""
-
-    def __init__(self):
-        self.get = Memo(lambda w: xxhash.xxh64_intdigest(w) >> (64 - WORD_BITS)).__getitem__
-
-    def __call__(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
-        words = (text or "").lower().split()
-        at = np.fromiter(map(self.get, words), np.uint64, len(words))
-        before = np.empty_like(at)
-        before[:1], before[1:] = (1 << WORD_BITS) - 1, at[:-1]
-        with np.errstate(over="ignore"):
-            pairs = ((before << np.uint64(WORD_BITS)) + at + np.uint64(1)) * _MIX
-            pairs = (pairs ^ (pairs >> np.uint64(31))) * _MIX >> np.uint64(64 - PAIR_BITS)
-        return at.astype(np.int64), pairs.astype(np.int64)
+from .runtime import Stage, ship, shuffle_partitions
 
+#: Words that the unigram distribution is worth in each context.
+MASS = 4.0
+#: Words of a chunk (a longer text is a chunk by itself).
+CHUNK_WORDS = 400_000
+#: Keys of the start and the end of a text.
+START, END = np.uint64(1), np.uint64(2)
+_K = np.uint64(0x9E3779B97F4A7C15)
+_K2 = np.uint64(0xBF58476D1CE4E5B9)
 
-class PairModel:
-    """Interpolated bigram losses from one word table and one pair table of the hashed form."""
-
-    def __init__(self, words: np.ndarray, pairs: np.ndarray):
-        self.single = np.log((words + 1.0) / (words.sum() + len(words)))
-        self.words, self.pairs = words, pairs
-
-    def loss(self, at: np.ndarray, pairs: np.ndarray) -> np.ndarray:
-        seen = np.empty(len(at))
-        seen[:1], seen[1:] = np.inf, self.words[at[:-1]]
-        share = np.minimum(1.0, self.pairs[pairs] / np.maximum(seen, 1.0))
-        return -np.log(PAIR_WEIGHT * share + (1 - PAIR_WEIGHT) * np.exp(self.single[at]))
+CHUNKS = "chunk long, range int, keys binary, n binary, target binary, ids array<long>, sizes array<int>, chosen array<boolean>, words binary, text binary"
 
 
 def words_of(text: str | None) -> list[str]:
     return (text or "").lower().split()
 
 
-def word_key(word: str, seed: int = 0) -> int:
-    """Equal to Spark's xxhash64 of the word and `seed` spaces, which no word holds."""
-    h = xxhash.xxh64_intdigest(word + " " * seed, 42)
-    return h - (1 << 64) if h >> 63 else h
-
-
-def _counted(texts: DataFrame, items, columns: list[pa.Field], schema: str) -> DataFrame:
-    """Rows (item's columns, bg, tg) of each task, summed there as far as HELD entries go; texts: (text, is_target)."""
+def pair_keys(v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Keys of bigrams from those of their words."""
+    with np.errstate(over="ignore"):
+        k = (v ^ (v >> np.uint64(29))) * _K + w
+        k = (k ^ (k >> np.uint64(32))) * _K2
+        return k ^ (k >> np.uint64(31))
+
+
+def pack(keys: np.ndarray) -> bytes:
+    """Sorted keys as differences, byte by byte of their width, so that the empty bytes of all stand together."""
+    return np.ascontiguousarray(np.diff(keys, prepend=np.uint64(0)).astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
+
+
+def unpack(raw: bytes) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return np.cumsum(np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view("<u8").ravel(), dtype=np.uint64)
+
+
+def pack_counts(n: np.ndarray) -> bytes:
+    most = int(n.max()) if len(n) else 0
+    width = next(w for w in (1, 2, 4, 8) if most < 1 << (8 * w))
+    return bytes([width]) + n.astype(f"<u{width}").tobytes()
+
+
+def unpack_counts(raw: bytes) -> np.ndarray:
+    return np.frombuffer(raw, f"<u{raw[0]}", offset=1).astype(np.int64)
+
+
+class Chunk:
+    """Texts as numbers of words; number 0 is the start and 1 the end of a text, the others follow the order of the words' keys."""
+
+    def __init__(self, texts: list[list[str]]):
+        number: dict[str, int] = {}
+        self.sizes = np.array([len(t) for t in texts], np.int64)
+        flat = np.fromiter((number.setdefault(w, len(number)) for t in texts for w in t), np.int64, int(self.sizes.sum()))
+        keys = np.fromiter(map(xxhash.xxh64_intdigest, number), np.uint64, len(number))
+        self.words, at = np.unique(keys, return_inverse=True)
+        self.text = (at[flat] + 2).astype("<u4") if len(flat) else np.zeros(0, "<u4")
+
+    @classmethod
+    def stored(cls, sizes: np.ndarray, words: bytes, text: bytes) -> Chunk:
+        out = cls.__new__(cls)
+        out.sizes, out.words, out.text = sizes, unpack(words), np.ascontiguousarray(np.frombuffer(text, np.uint8).reshape(4, -1).T).view("<u4").ravel()
+        return out
+
+    def store(self) -> tuple[bytes, bytes]:
+        return pack(self.words), np.ascontiguousarray(self.text.view(np.uint8).reshape(-1, 4).T).tobytes()
+
+    def steps(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(document, word before, word) of each word and each end of the texts that hold a word."""
+        has = np.flatnonzero(self.sizes)
+        sizes = self.sizes[has] + 1
+        doc, ends = np.repeat(has, sizes), np.cumsum(sizes) - 1
+        w = np.ones(len(doc), np.int64)
+        inner = np.ones(len(doc), bool)
+        inner[ends] = False
+        w[inner] = self.text
+        v = np.empty_like(w)
+        v[:1], v[1:] = 0, w[:-1]
+        v[ends - sizes + 1] = 0
+        return doc, v, w
+
+    @property
+    def keys(self) -> np.ndarray:
+        return np.concatenate([[START, END], self.words])
+
+
+def _ranges(keys: np.ndarray, many: int) -> np.ndarray:
+    return ((keys >> np.uint64(32)) * np.uint64(many) >> np.uint64(32)).astype(np.int64)
+
+
+def _chunks(texts: DataFrame, many: int) -> DataFrame:
+    """A row of each chunk with its texts, and its requests: distinct keys of a range with their counts in all and in target documents.
+
+    texts: (id, text, target).  Ranges from 0 on hold words, those from `many` on bigrams.
+    """
+    names = [f.split()[0] for f in CHUNKS.split(", ")]
+    kinds = [pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.bool_()), pa.binary(), pa.binary()]
+
+    def rows(name, ids, chosen, lists):
+        chunk = Chunk(lists)
+        mark = np.array(chosen, bool)
+        doc, v, w = chunk.steps()
+        keys, yes = chunk.keys, mark[doc]
+        starts = w == 1
+        # the start counts as a word that stands before, the end as one that follows
+        single = np.concatenate([w, np.zeros(int(starts.sum()), np.int64)])
+        of = np.concatenate([yes, yes[starts]])
+        n = np.bincount(single, minlength=len(keys))
+        t = np.bincount(single[of], minlength=len(keys))
+        pairs, at = np.unique(pair_keys(keys[v], keys[w]), return_inverse=True)
+        out = []
+        order = np.argsort(keys, kind="stable")
+        for first, k, a, b in ((0, keys[order], n[order], t[order]), (many, pairs, np.bincount(at, minlength=len(pairs)), np.bincount(at[yes], minlength=len(pairs)))):
+            cuts = np.searchsorted(_ranges(k, many), np.arange(many + 1))
+            for r in np.flatnonzero(np.diff(cuts)).tolist():
+                i, j = cuts[r], cuts[r + 1]
+                out.append((name, first + r, pack(k[i:j]), pack_counts(a[i:j]), pack_counts(b[i:j]), None, None, None, None, None))
+        out.append((name, None, None, None, None, ids, chunk.sizes.tolist(), mark.tolist(), *chunk.store()))
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
 
     def run(batches):
-        held: tuple[Counter, Counter] = (Counter(), Counter())
-        take = items()
-
-        def out():
-            for y, c in enumerate(held):
-                if c:
-                    n = pa.array(list(c.values()), pa.int64())
-                    none = pa.array(np.zeros(len(c), np.int64))
-                    keys = [list(c)] if len(columns) == 1 else list(zip(*c))
-                    yield pa.RecordBatch.from_arrays([*(pa.array(k, f.type) for k, f in zip(keys, columns)), *((none, n) if y else (n, none))], names=[*(f.name for f in columns), "bg", "tg"])
-                c.clear()
+        from pyspark import TaskContext
 
+        name = TaskContext.get().partitionId() << 32
+        ids, chosen, lists, size = [], [], [], 0
         for batch in batches:
-            for text, y in zip(batch.column(0), batch.column(1).to_pylist()):
-                held[y].update(take(text.as_py()))
-                if len(held[0]) + len(held[1]) > HELD:
-                    yield from out()
-        yield from out()
-
-    names = [f.name for f in columns]
-    return texts.mapInArrow(run, f"{schema}, bg long, tg long").groupBy(*names).agg(F.sum("bg").alias("bg"), F.sum("tg").alias("tg"))
-
-
-def count_words(texts: DataFrame, stage: Stage) -> tuple[DataFrame, int]:
-    """(key, bg, tg) of each word, and the seed of the keys."""
-    words = stage.table(_counted(texts, lambda: words_of, [pa.field("word", pa.string())], "word string"), "words")
-    seed = 0
-    while True:
-        keyed = words.select(F.xxhash64(F.concat("word", F.lit(" " * seed))).alias("key"), "bg", "tg")
-        if not keyed.groupBy("key").count().where(f"count > 1 or key = {START}").limit(1).count():
-            return keyed, seed
-        seed += 1
-
-
-def count_pairs(texts: DataFrame, stage: Stage, seed: int) -> DataFrame:
-    """(p, w, bg, tg) of each word w behind p."""
-
-    def items():
-        key = Memo(lambda w: word_key(w, seed)).__getitem__
-
-        def take(text):
-            at = list(map(key, words_of(text)))
-            return zip([START, *at[:-1]], at)
-
-        return take
-
-    return stage.table(_counted(texts, items, [pa.field("p", pa.int64()), pa.field("w", pa.int64())], "p long, w long"), "pairs")
-
-
-def _with_counts(pairs: DataFrame, words: DataFrame, hot: DataFrame, at: str) -> DataFrame:
-    """Pairs with the counts of the word in column `at`; rows of hot words are spread over all tasks."""
-    near = F.broadcast(hot.select(F.col("key").alias("_h"), F.col("bg").alias("_hb"), F.col("tg").alias("_ht")))
-    far = words.select(F.col("key").alias("_k"), F.col("bg").alias("_kb"), F.col("tg").alias("_kt")).hint("merge")
-    out = pairs.join(near, F.col(at) == F.col("_h"), "left").withColumn("_to", F.when(F.col("_h").isNull(), F.col(at)).otherwise(F.xxhash64("p", "w")))
-    out = out.join(far, F.col("_to") == F.col("_k"), "left")
-    return out.select(*pairs.columns, F.coalesce("_hb", "_kb").alias(f"{at}_bg"), F.coalesce("_ht", "_kt").alias(f"{at}_tg"))
-
-
-def losses(pairs: DataFrame, words: DataFrame, stage: Stage) -> DataFrame:
-    """(p, w, n, lt, lb): how often each bigram occurs and its losses under the target's and the background's model."""
-    spark = words.sparkSession
-    sums = words.agg(F.count("*").alias("size"), F.coalesce(F.sum("bg"), F.lit(0)).alias("bg"), F.coalesce(F.sum("tg"), F.lit(0)).alias("tg")).first()
-    size = max(LEAST_WORDS, sums["size"])
-    top = words.orderBy(F.desc(F.col("bg") + F.col("tg")), "key").limit(HOT_WORDS).collect()
-    hot = spark.createDataFrame([(START, 0, 0), *(tuple(r) for r in top)], "key long, bg long, tg long")
-    counted = _with_counts(_with_counts(pairs, words, hot, "w"), words, hot, "p")
-
-    def loss(side: str):
-        share = F.col(side) / F.greatest(F.col(f"p_{side}"), F.lit(1))
-        share = F.when(F.col("p") == START, 0.0).otherwise(share)
-        return -F.log(PAIR_WEIGHT * share + (1 - PAIR_WEIGHT) * (F.col(f"w_{side}") + 1.0) / F.lit(float(sums[side] + size)))
-
-    return stage.table(counted.select("p", "w", (F.col("bg") + F.col("tg")).alias("n"), loss("tg").alias("lt"), loss("bg").alias("lb")), "losses")
-
-
-class HotPairs:
-    """Losses of the most frequent bigrams, found by arrays of keys."""
-
-    def __init__(self, rows: list):
-        p, w = (np.array([r[k] for r in rows], np.int64) for k in ("p", "w"))
-        mixed = self.mix(p, w)
-        order = np.argsort(mixed, kind="stable")
-        self.mixed, self.p, self.w = mixed[order], p[order], w[order]
-        self.lt, self.lb = (np.array([r[k] for r in rows], float)[order] for k in ("lt", "lb"))
-
-    @staticmethod
-    def mix(p: np.ndarray, w: np.ndarray) -> np.ndarray:
-        with np.errstate(over="ignore"):
-            return p.view(np.uint64) * _MIX + w.view(np.uint64)
-
-    def find(self, p: np.ndarray, w: np.ndarray) -> np.ndarray:
-        """Index of each bigram, -1 if it isn't here."""
-        if not len(self.p):
-            return np.full(len(p), -1)
-        at = np.searchsorted(self.mixed, self.mix(p, w))
-        at[at == len(self.p)] = 0
-        return np.where((self.p[at] == p) & (self.w[at] == w), at, -1)
+            for i, text, y in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
+                words = words_of(text.as_py())
+                if size and size + len(words) > CHUNK_WORDS:
+                    yield rows(name, ids, chosen, lists)
+                    name, ids, chosen, lists, size = name + 1, [], [], [], 0
+                ids.append(i)
+                chosen.append(y)
+                lists.append(words)
+                size += len(words) + 1
+        if ids:
+            yield rows(name, ids, chosen, lists)
+
+    return texts.mapInArrow(run, CHUNKS)
+
+
+def _answers(requests: DataFrame) -> DataFrame:
+    """(chunk, range, n, target): the corpus's counts of each request's keys; a row without chunk holds a range's keys and their sums."""
+    names = ["chunk", "range", "n", "target", "size", "sum_n", "sum_target"]
+
+    def run(key, table):
+        chunks, raw = table.column("chunk").to_pylist(), [unpack(x.as_py()) for x in table.column("keys")]
+        sizes = [len(x) for x in raw]
+        keys, at = np.unique(np.concatenate(raw), return_inverse=True)
+        sums = []
+        for c in ("n", "target"):
+            # whole numbers, exact far beyond any count
+            total = np.bincount(at, np.concatenate([unpack_counts(x.as_py()) for x in table.column(c)]), len(keys)).astype(np.int64)
+            sums.append(total)
+        cuts = np.cumsum(sizes)[:-1]
+        per = [[pack_counts(x) for x in np.split(s[at], cuts)] for s in sums]
+        r, m = key[0].as_py(), len(chunks)
+        # the start is no word that could follow
+        real = keys != START
+        stats = [[None] * m + [x] for x in (int(real.sum()), int(sums[0][real].sum()), int(sums[1][real].sum()))]
+        return pa.table([pa.array([*chunks, None], pa.int64()), pa.array([r] * (m + 1), pa.int32()), *(pa.array([*x, None], pa.binary()) for x in per), *(pa.array(x, pa.int64()) for x in stats)], names=names)
+
+    return requests.groupBy("range").applyInArrow(run, "chunk long, range int, n binary, target binary, size long, sum_n long, sum_target long")
+
+
+def losses(chunk: Chunk, chosen: np.ndarray, single: tuple, pairs: tuple, at: np.ndarray, size: int, sums: tuple) -> tuple[np.ndarray, np.ndarray]:
+    """Mean losses of the chunk's documents under the target's and the background's model, without their own counts.
+
+    single, pairs: (target, background) counts by word number and by bigram; at: the bigram of each step; sums: words of either side.
+    """
+    docs, (doc, v, w) = len(chunk.sizes), chunk.steps()
+    many = np.maximum(chunk.sizes + 1, 1)
+    n_words, n_pairs = len(single[0]), len(pairs[0])
+
+    def own(item: np.ndarray, width: int) -> np.ndarray:
+        """How often a step's item occurs in its own document."""
+        _, inverse, count = np.unique(doc * width + item, return_inverse=True, return_counts=True)
+        return count[inverse]
+
+    own_w, own_pair = own(w, n_words), own(at, n_pairs)
+    own_v = np.ones(len(v), np.int64)
+    inner = v != 0
+    if inner.any():
+        _, inverse, count = np.unique(doc[inner] * n_words + v[inner], return_inverse=True, return_counts=True)
+        own_v[inner] = count[inverse]
+    out = []
+    scales = (1.0, min(1.0, max(sums[0], 1) / max(sums[1], 1)))
+    for k, scale in enumerate(scales):
+        mine = chosen[doc].astype(np.int64) if k == 0 else np.ones(len(doc), np.int64)
+        base = (single[k][w] - mine * own_w + 1.0) / (sums[k] - mine * many[doc] + size)
+        p = (scale * (pairs[k][at] - mine * own_pair) + MASS * base) / (scale * (single[k][v] - mine * own_v) + MASS)
+        out.append(np.bincount(doc, -np.log(p), docs) / many)
+    return out[0], out[1]
 
 
 def difference(docs: DataFrame, target: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -194,43 +227,37 @@ def difference(docs: DataFrame, target: DataFrame, id_col: str = "doc_id", text_
     chosen = target.select(F.col(id_col).alias("_t")).where(F.col("_t").isNotNull()).distinct()
     # sorted and merged at every size: labels grow with the documents, so they are never broadcast
     marked = docs.select(F.col(id_col).cast("long").alias("_d"), F.col(text_col).alias("_text")).join(chosen.hint("merge"), F.col("_d") == F.col("_t"), "left")
-    marked = stage.table(marked.select("_d", "_text", F.col("_t").isNotNull().alias("_y"), F.monotonically_increasing_id().alias("_row")), "marked")
-    texts = marked.select("_text", "_y")
-    words, seed = count_words(texts, stage)
-    table = losses(count_pairs(texts, stage, seed), words, stage)
-    shared = spark.sparkContext.broadcast(HotPairs(table.orderBy(F.desc("n"), "p", "w").limit(HOT_PAIRS).collect()))
-
-    def run(batches):
-        """A row of each document with its sums over hot bigrams, and one of each other bigram in it."""
-        key, hot = Memo(lambda w: word_key(w, seed)).__getitem__, shared.value
-        names = ["row", "doc", "p", "w", "n", "lt", "lb"]
-        for batch in batches:
-            texts = [words_of(t.as_py()) for t in batch.column(2)]
-            sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-            w = np.fromiter((key(x) for t in texts for x in t), np.int64, int(sizes.sum()))
-            p = np.empty_like(w)
-            p[:1], p[1:] = START, w[:-1]
-            p[(np.cumsum(sizes) - sizes)[sizes > 0]] = START
-            of = np.repeat(np.arange(len(texts)), sizes)
-            at = hot.find(p, w)
-            far = at < 0
-            near, of_near = at[~far], of[~far]
-            rows = np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64)
-            n, m = len(rows), int(far.sum())
-            sums = [np.bincount(of_near, x[near] if len(near) else None, n) for x in (hot.lt, hot.lb)]
-            first = np.arange(n + m) < n
-            column = lambda x, y, none: pa.array(np.concatenate([x, y]), mask=none)
-            out = pa.RecordBatch.from_arrays([
-                pa.array(np.concatenate([rows, rows[of[far]]])), pa.concat_arrays([batch.column(1), pa.nulls(m, pa.int64())]),
-                column(rows, p[far], None), column(np.zeros(n, np.int64), w[far], first),
-                column(np.bincount(of_near, minlength=n).astype(np.int64), np.ones(m, np.int64), None), *(column(x.astype(float), np.zeros(m), ~first) for x in sums),
-            ], names=names)
-            for i in range(0, n + m, 50_000):
-                yield out.slice(i, 50_000)
-
-    found = marked.select("_row", "_d", "_text").mapInArrow(run, "row long, doc long, p long, w long, n long, lt double, lb double")
-    other = table.select(F.col("p").alias("_p"), F.col("w").alias("_w"), F.col("lt").alias("_lt"), F.col("lb").alias("_lb")).hint("merge")
-    joined = found.join(other, (F.col("p") == F.col("_p")) & (F.col("w") == F.col("_w")), "left")
-    sums = joined.groupBy("row").agg(F.max("doc").alias("doc_id"), F.sum("n").alias("n_words"), *(F.sum(F.coalesce(x, f"_{x}")).alias(x) for x in ("lt", "lb")))
-    mean = {x: F.col(x) / F.greatest(F.col("n_words"), F.lit(1)) for x in ("lt", "lb")}
-    return sums.select("doc_id", "n_words", mean["lt"].alias("loss_target"), mean["lb"].alias("loss_background"), (mean["lt"] - mean["lb"]).alias("score"))
+    many = shuffle_partitions(spark)
+    chunks = stage.table(_chunks(marked.select("_d", "_text", F.col("_t").isNotNull().alias("_y")), many), "chunks")
+    del marked
+    stage.release()
+    counts = stage.table(_answers(chunks.where("range is not null").select("chunk", "range", "keys", "n", "target")), "counts")
+    stage.release()
+    total = counts.where("chunk is null").agg(*(F.coalesce(F.sum(F.when(F.col("range") < many, F.col(c))), F.lit(0)).alias(c) for c in ("size", "sum_n", "sum_target"))).first()
+    size, sums = total["size"], (total["sum_target"], total["sum_n"])
+
+    def run(key, left, right):
+        if not left.num_rows:
+            return pa.table({"doc_id": pa.array([], pa.int64()), "n_words": pa.array([], pa.int64()), **{c: pa.array([], pa.float64()) for c in ("loss_target", "loss_background", "score")}})
+        row = {c: left.column(c)[0].as_py() for c in ("ids", "sizes", "chosen", "words", "text")}
+        chunk = Chunk.stored(np.array(row["sizes"], np.int64), row["words"], row["text"])
+        got = sorted(zip(right.column("range").to_pylist(), right.column("n").to_pylist(), right.column("target").to_pylist()))
+        # requests were sorted by key, words first
+        counted = [np.concatenate([np.zeros(0, np.int64), *(unpack_counts(x[k]) for x in got)]) for k in (2, 1)]
+        keys = chunk.keys
+        order, m = np.argsort(keys, kind="stable"), len(keys)
+        single, pairs = [], []
+        for c in counted:
+            s = np.zeros(m, np.int64)
+            if len(c):
+                s[order] = c[:m]
+            single.append(s)
+            pairs.append(c[m:])
+        _, v, w = chunk.steps()
+        at = np.unique(pair_keys(keys[v], keys[w]), return_inverse=True)[1]
+        lt, lb = losses(chunk, np.array(row["chosen"], bool), tuple(single), tuple(pairs), at, size, sums)
+        return pa.table({"doc_id": pa.array(row["ids"], pa.int64()), "n_words": pa.array(chunk.sizes), "loss_target": pa.array(lt), "loss_background": pa.array(lb), "score": pa.array(lt - lb)})
+
+    texts = chunks.where("range is null").select("chunk", "ids", "sizes", "chosen", "words", "text")
+    asked = counts.where("chunk is not null").select("chunk", "range", "n", "target")
+    return texts.groupBy("chunk").cogroup(asked.groupBy("chunk")).applyInArrow(run, "doc_id long, n_words long, loss_target double, loss_background double, score double")

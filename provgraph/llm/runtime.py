@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import os
 import tempfile
 import uuid
@@ -88,6 +89,11 @@ class Stage:
     def drop(self, df: DataFrame) -> None:
         drop(self.spark, df._stage_path)
 
+    def release(self) -> None:
+        """Let Spark remove the shuffle files of steps whose tables are written: it does so when their frames are collected as garbage."""
+        gc.collect()
+        self.spark.sparkContext._jvm.System.gc()
+
 
 def fold(id_col: str | Column, n: int) -> Column:
     """crc32 of the id's text modulo n."""

@@ -190,51 +190,66 @@ def test_packing(odd, none):
     assert docs[0] == docs[1] == 1 and packing.pack_documents(none).count() == 0
 
 
-def test_cross_entropy_difference(spark, none):
-    rows = [(i, " ".join(f"{'good' if i % 2 else 'plain'}{(i * 7 + k) % 13}" for k in range(60))) for i in range(40)]
-    docs = spark.createDataFrame(rows + [(50, None), (51, "")], "doc_id long, text string")
-    target = docs.where("doc_id % 2 = 1 and doc_id < 30").select("doc_id")
-    got = {r["doc_id"]: r for r in lmscore.difference(docs, target).collect()}
-    assert all(got[i]["score"] < 0 for i in range(1, 40, 2)) and all(got[i]["score"] > 0 for i in range(0, 40, 2)) and got[50]["score"] == got[51]["score"] == 0
-    slots, words, pairs = lmscore.Slots(), np.zeros(lmscore.SIZES[2], int), np.zeros(lmscore.SIZES[3], int)
-    for i, t in rows:
-        if i % 2 and i < 30:
-            at, two = slots(t)
-            np.add.at(words, at, 1)
-            np.add.at(pairs, two, 1)
-    at, two = slots(rows[3][1])
-    assert abs(got[3]["loss_target"] - lmscore.PairModel(words, pairs).loss(at, two).mean()) < 1e-12
-    assert lmscore.difference(none, target).count() == 0
-
-
-def test_cross_entropy_counts_words_not_slots(spark, monkeypatch):
-    """More words than hashed slots would tell apart: every bigram has its own count, hot or not."""
+def cross_entropy(rows, target):
+    """(id, words, target loss, background loss) by counting in dictionaries, each row's own counts left out."""
     from collections import Counter
     from math import log
 
-    monkeypatch.setattr(lmscore, "HOT_PAIRS", 5)
-    monkeypatch.setattr(lmscore, "HOT_WORDS", 3)
-    rows = [(i, " ".join(["the", "of", *(f"w{i}x{k}" for k in range(4000)), "the", "of"])) for i in range(100)] + [(100, "The of the of"), (100, "The of the of"), (None, "the w1x1")]
-    docs = spark.createDataFrame(rows, "doc_id long, text string")
-    got = sorted(tuple(r) for r in lmscore.difference(docs, docs.where("doc_id < 50").select("doc_id")).collect() if r["doc_id"] is not None)
-    words, pairs = (Counter(), Counter()), (Counter(), Counter())
-    for i, t in rows:
-        y, w = i is not None and i < 50, t.lower().split()
-        words[y].update(w)
-        pairs[y].update(zip(w, w[1:]))
-    size = len(words[0] | words[1])
-    assert size > lmscore.LEAST_WORDS
-    want = []
-    for i, t in rows[:-1]:
-        w, mean = t.lower().split(), []
-        for y in (1, 0):
-            n, c = sum(words[y].values()) + size, words[y]
-            share = [0.0, *(pairs[y][a, b] / max(c[a], 1) for a, b in zip(w, w[1:]))]
-            mean.append(sum(-log(0.6 * s + 0.4 * (c[b] + 1) / n) for s, b in zip(share, w)) / len(w))
-        want.append((i, len(w), *mean, mean[0] - mean[1]))
-    assert len(got) == len(want) and all(np.allclose(a, b, rtol=1e-9, atol=1e-12) for a, b in zip(got, sorted(want)))
-    words_table = spark.createDataFrame([("ab",), ("é",), ("x" * 40,)], "w string").select("w", F.xxhash64("w").alias("a"), F.xxhash64(F.concat("w", F.lit("  "))).alias("b"))
-    assert all((r["a"], r["b"]) == (lmscore.word_key(r["w"]), lmscore.word_key(r["w"], 2)) for r in words_table.collect())
+    texts = [(i, t, (t or "").lower().split()) for i, t in rows]
+    words, before, pairs = ([Counter(), Counter()] for _ in range(3))
+    steps = lambda w: list(zip(["<s>", *w], [*w, "</s>"]))
+    for i, _, w in texts:
+        for k in (0, 1) if i in target else (1,):
+            if w:
+                words[k].update([*w, "</s>"])
+                before[k].update(["<s>", *w])
+                pairs[k].update(steps(w))
+    size, sums = len(words[1]), [sum(c.values()) for c in words]
+    out = []
+    for i, _, w in texts:
+        loss = [0.0, 0.0]
+        own_w, own_v, own_p = Counter([*w, "</s>"]), Counter(["<s>", *w]), Counter(steps(w))
+        for k, scale in ((0, 1.0), (1, min(1.0, max(sums[0], 1) / max(sums[1], 1)))):
+            mine = k == 1 or i in target
+            for v, x in steps(w) if w else ():
+                base = (words[k][x] - mine * own_w[x] + 1) / (sums[k] - mine * (len(w) + 1) + size)
+                loss[k] -= log((scale * (pairs[k][v, x] - mine * own_p[v, x]) + lmscore.MASS * base) / (scale * (before[k][v] - mine * own_v[v]) + lmscore.MASS)) / (len(w) + 1)
+        out.append((i, len(w), *loss, loss[0] - loss[1]))
+    return out
+
+
+def test_cross_entropy_difference(spark, none, odd, monkeypatch):
+    monkeypatch.setattr(lmscore, "CHUNK_WORDS", 300)
+    rows = [(i, " ".join(f"{'good' if i % 2 else 'plain'}{(i * 7 + k) % 13}" for k in range(60))) for i in range(40)]
+    rows += [(50, None), (51, ""), (52, "Good3 plain4"), (52, "Good3 plain4"), (53, "new words " * 400)]
+    docs = spark.createDataFrame([*rows, (None, "good1 good2")], "doc_id long, text string").repartition(5)
+    chosen = [i for i in range(1, 30, 2)]
+    target = spark.createDataFrame([(i,) for i in [*chosen, *chosen, None, 777]], "doc_id long")
+    got = sorted(tuple(r) for r in lmscore.difference(docs, target).collect() if r["doc_id"] is not None)
+    want = sorted(x for x in cross_entropy([*rows, (None, "good1 good2")], set(chosen)) if x[0] is not None)
+    assert [x[:2] for x in got] == [x[:2] for x in want] and np.allclose([x[2:] for x in got], [x[2:] for x in want], rtol=1e-9, atol=1e-12)
+    by = {x[0]: x[4] for x in got}
+    assert all(by[i] < 0 for i in range(1, 40, 2)) and all(by[i] > 0 for i in range(0, 40, 2)) and by[50] == by[51] == 0
+    assert lmscore.difference(none, target).count() == 0 and lmscore.difference(docs, target.where("false")).count() == len(rows) + 1
+    assert lmscore.difference(odd, odd.select("doc_id", F.lit(1).alias("text"))).count() == len(ROWS)
+
+
+def test_models_are_distributions():
+    """The probabilities of all words and the end after any word sum to one."""
+    texts = [["a", "b", "a"], ["b", "c"], ["a"]]
+    chunk = lmscore.Chunk(texts)
+    keys = chunk.keys
+    _, v, w = chunk.steps()
+    pairs, at = np.unique(lmscore.pair_keys(keys[v], keys[w]), return_inverse=True)
+    single = np.bincount(w, minlength=len(keys))
+    single[0] = len(texts)
+    n_pairs, size, total = np.bincount(at), len(keys) - 1, int(single[1:].sum())
+    count = dict(zip(pairs.tolist(), n_pairs.tolist()))
+    for x in [0, *range(2, len(keys))]:
+        p = [(count.get(int(lmscore.pair_keys(keys[[x]], keys[[y]])[0]), 0) + lmscore.MASS * (single[y] + 1) / (total + size)) / (single[x] + lmscore.MASS) for y in range(1, len(keys))]
+        assert abs(sum(p) - 1) < 1e-12
+    x = np.sort(np.random.default_rng(3).integers(0, 1 << 63, 1000).astype(np.uint64))
+    assert (lmscore.unpack(lmscore.pack(x)) == x).all() and lmscore.unpack_counts(lmscore.pack_counts(np.array([1, 70000]))).tolist() == [1, 70000]
 
 
 def test_nearest(spark):
