@@ -255,4 +255,4 @@ def label(docs: DataFrame, model: LanguageModel, penalty: float = 8.0, spans: bo
 
     schema = "doc_id long, lang_pred string, score double, n_spans int" + ", spans array<struct<first:int,words:int,lang:string>>" * spans + ", evidence double, fits boolean" * fits
     out = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
-    return out.select("doc_id", (fold("doc_id", folds) == held).alias("held_out"), *out.columns[1:])
+    return out.select("doc_id", F.coalesce(fold("doc_id", folds) == held, F.lit(False)).alias("held_out"), *out.columns[1:])

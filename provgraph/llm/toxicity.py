@@ -4,15 +4,16 @@ Both classes have discounted counts of their own for n-grams of the full order;
 frees goes to one lower-order Kneser-Ney model, whose continuation counts are shared.  A rare form
 (an inflected insult, say) is so judged by its parts.  The log-likelihood ratio of a word is a sum over its letters
 and depends on the word alone, so it is computed once for each form.  A document gets the ratio for each
-word, that is length-normalised, over the whole text and over its densest window; a logistic
-curve fitted on labelled rows kept out of the counts turns both into a probability.
+word, that is length-normalised, over the whole text and over the windows of WINDOWS words in which it is highest; a logistic
+curve turns these into a probability.  It is fitted on all labelled rows of the sample, each judged by models that counted the other folds only, so that
+it sees what the models are worth on new texts; a weight below zero (a denser text being less toxic) is left out.
 
-Fit: at most `max_train_docs` labelled rows of each class (those with the smallest hashes), of
-which a fifth calibrates; at most `max_grams` n-grams, the most frequent.  Scoring covers every row.
+Fit: at most `max_train_docs` labelled rows of each class (those with the smallest hashes).  N-grams of one document only say
+nothing of others and are left out (LEAST_DOCS), no other is.  Scoring covers every row.
 
 Defined results: null and empty texts and texts without a letter have ratio 0 and get the score of that
 ratio; without labels of both classes every score is 0; repeated rows get a row each; a document with several
-labels counts as toxic if one says so.
+labels counts as toxic if one says so; a null id is not held out.
 """
 
 from __future__ import annotations
@@ -26,11 +27,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import fold, ship
+from .runtime import Stage, fold, ship
 from .units import Memo
 
 EDGE = "\x02"
-WINDOW = 32
+ORDER = 8
+#: Words of the windows whose highest ratio counts, besides the whole text.
+WINDOWS = (1, 8, 32)
+#: Documents that an n-gram has to occur in.
+LEAST_DOCS = 2
+#: Parts of the sample for cross-fitting.
+PARTS = 3
+#: A toxic row counts as so many in the logistic fit.
+TOXIC_WEIGHT = 2.0
 
 
 def letters(token: str) -> list[str]:
@@ -49,14 +58,14 @@ def grams(word: str, order: int) -> list[str]:
 class KneserNeyRatio:
     """log p(letter | context, toxic) - log p(letter | context, ordinary) of each n-gram, and of each context for letters not seen after it."""
 
-    order: int = 5
+    order: int = ORDER
     seen: dict = field(default_factory=dict)
     unseen: dict = field(default_factory=dict)
-    weights: tuple = (0.0, 0.0, 0.0)
+    weights: tuple = (0.0,) * (2 + len(WINDOWS))
     fitted: bool = False
 
     @classmethod
-    def fit(cls, counts: dict[str, tuple[int, int]], order: int = 5, discount: float = 0.75) -> KneserNeyRatio:
+    def fit(cls, counts: dict[str, tuple[int, int]], order: int = ORDER, discount: float = 0.75) -> KneserNeyRatio:
         shared = _shared_backoff(counts, discount)
         model = cls(order)
         total, kinds = defaultdict(lambda: [0, 0]), defaultdict(lambda: [0, 0])
@@ -117,15 +126,18 @@ class Scorer:
     def _token(self, token: str) -> float:
         return sum(map(self.model.word, letters(token)))
 
-    def features(self, text: str | None) -> tuple[float, float]:
-        """Log-likelihood ratio for each word, of the whole text and of its densest window."""
+    def features(self, text: str | None) -> tuple[float, ...]:
+        """Log-likelihood ratio for each word, of the whole text and of its highest windows."""
         tokens = (text or "").lower().split()
         if not tokens:
-            return 0.0, 0.0
+            return (0.0,) * (1 + len(WINDOWS))
         c = np.zeros(len(tokens) + 1)
         np.cumsum(np.fromiter(map(self.get, tokens), float, len(tokens)), out=c[1:])
-        w = min(WINDOW, len(tokens))
-        return float(c[-1]) / len(tokens), float((c[w:] - c[:-w]).max()) / WINDOW
+        out = [float(c[-1]) / len(tokens)]
+        for window in WINDOWS:
+            w = min(window, len(tokens))
+            out.append(float((c[w:] - c[:-w]).max()) / window)
+        return tuple(out)
 
     def score(self, text: str | None) -> float:
         if not self.model.fitted:
@@ -135,41 +147,55 @@ class Scorer:
         return 1 / (1 + math.exp(-min(max(z, -500), 500)))
 
 
-def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, steps: int = 60) -> np.ndarray:
-    """Weights (bias first) of a ridge-logistic fit with both classes weighted alike."""
-    scale = x.std(0) + 1e-9
-    a = np.column_stack([np.ones(len(x)), x / scale])
-    weight = np.where(y == 1, 0.5 / max(1, (y == 1).sum()), 0.5 / max(1, (y == 0).sum())) * len(y)
-    w = np.zeros(a.shape[1])
-    for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
-        d = weight * p * (1 - p) + 1e-9
-        g = a.T @ (weight * (p - y)) + ridge * len(y) * np.r_[0, w[1:]]
-        w -= np.linalg.solve((a * d[:, None]).T @ a + ridge * len(y) * np.diag([1e-9] + [1.0] * x.shape[1]), g)
-    return np.r_[w[0], w[1:] / scale]
+def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3, steps: int = 60) -> np.ndarray:
+    """Weights (bias first) of a ridge-logistic fit; columns whose weight is below zero are left out."""
+    use, weight = list(range(x.shape[1])), np.where(y == 1, TOXIC_WEIGHT, 1.0)
+    while True:
+        scale = x[:, use].std(0) + 1e-9
+        a = np.column_stack([np.ones(len(x)), x[:, use] / scale])
+        w = np.zeros(a.shape[1])
+        for _ in range(steps):
+            p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
+            d = weight * p * (1 - p) + 1e-9
+            g = a.T @ (weight * (p - y)) + ridge * len(y) * np.r_[0, w[1:]]
+            w -= np.linalg.solve((a * d[:, None]).T @ a + ridge * len(y) * np.diag([1e-9] + [1.0] * len(use)), g)
+        if not use or (w[1:] >= 0).all():
+            out = np.zeros(1 + x.shape[1])
+            out[0], out[1 + np.array(use, int)] = w[0], w[1:] / scale
+            return out
+        use.pop(int(w[1:].argmin()))
+
+
+def _gram_counts(rows: DataFrame, order: int) -> DataFrame:
+    """(gram, docs, n{class}{part}): occurrences by class and part of the sample; rows: (text, class, part)."""
+    names = [f"n{y}{k}" for y in (0, 1) for k in range(PARTS)]
 
-
-def _word_counts(rows: DataFrame, order: int) -> DataFrame:
     def run(batches):
-        words = (Counter(), Counter())
+        own = Memo(lambda token: [g for w in letters(token) for g in grams(w, order)], 100_000)
+        out: dict[str, list[int]] = {}
         for batch in batches:
-            for text, y in zip(batch.column(0), batch.column(1).to_pylist()):
-                words[y].update((text.as_py() or "").lower().split())
-        out: dict[str, list[int]] = defaultdict(lambda: [0, 0])
-        for y in (0, 1):
-            for token, n in words[y].items():
-                for w in letters(token):
-                    for g in grams(w, order):
-                        out[g][y] += n
+            for text, y, part in zip(batch.column(0), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                here: Counter = Counter()
+                for token, n in Counter((text.as_py() or "").lower().split()).items():
+                    for g in own[token]:
+                        here[g] += n
+                at = 1 + y * PARTS + part
+                for g, n in here.items():
+                    c = out.get(g)
+                    if c is None:
+                        c = out[g] = [0] * (1 + 2 * PARTS)
+                    c[0] += 1
+                    c[at] += n
         keys = list(out)
         for i in range(0, len(keys), 50_000):
             part = keys[i : i + 50_000]
-            yield pa.RecordBatch.from_arrays([pa.array(part), pa.array([out[g][0] for g in part], pa.int64()), pa.array([out[g][1] for g in part], pa.int64())], names=["gram", "n0", "n1"])
+            yield pa.RecordBatch.from_arrays([pa.array(part), *(pa.array([out[g][k] for g in part], pa.int64()) for k in range(1 + len(names)))], names=["gram", "docs", *names])
 
-    return rows.mapInArrow(run, "gram string, n0 long, n1 long").groupBy("gram").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    schema = "gram string, docs long, " + ", ".join(f"{n} long" for n in names)
+    return rows.mapInArrow(run, schema).groupBy("gram").agg(*(F.sum(n).alias(n) for n in ("docs", *names)))
 
 
-def fit(docs: DataFrame, labels: DataFrame, order: int = 5, max_train_docs: int = 6000, max_grams: int = 400_000, folds: int = 5) -> KneserNeyRatio:
+def fit(docs: DataFrame, labels: DataFrame, order: int = ORDER, max_train_docs: int = 6000, folds: int = 5) -> KneserNeyRatio:
     """Fit on labelled rows outside fold 0."""
     spark = docs.sparkSession
     ship(spark)
@@ -178,29 +204,40 @@ def fit(docs: DataFrame, labels: DataFrame, order: int = 5, max_train_docs: int
     chosen = [[(r["doc_id"], r["_y"]) for r in known.where(F.col("_y") == y).orderBy("_h", "doc_id").limit(max_train_docs).collect()] for y in (0, 1)]
     if not all(chosen):
         return KneserNeyRatio(order)
-    # at most 2 x max_train_docs rows
+    # at most 2 x max_train_docs rows; one text of an id that several rows have
     sample = F.broadcast(spark.createDataFrame(chosen[0] + chosen[1], "_id long, _y int"))
-    rows = docs.select("doc_id", "text").join(sample, F.col("doc_id") == F.col("_id")).select("text", "_y", (F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(5)) == 0).alias("_late"))
-    counted = _word_counts(rows.where(~F.col("_late")).select("text", "_y"), order)
-    table = counted.orderBy(F.desc(F.col("n0") + F.col("n1")), "gram").limit(max_grams).toArrow()
-    counts = dict(zip(table["gram"].to_pylist(), zip(table["n0"].to_pylist(), table["n1"].to_pylist())))
-    if not counts:
+    rows = docs.select("doc_id", "text").join(sample, F.col("doc_id") == F.col("_id")).groupBy("doc_id").agg(F.min("text").alias("text"), F.max("_y").alias("_y"))
+    rows = Stage(spark).table(rows.select("text", "_y", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(PARTS)).cast("int").alias("_part")), "sample")
+    counted = _gram_counts(rows, order).where(F.col("docs") >= LEAST_DOCS).drop("docs")
+    table = counted.toArrow()  # n-grams of the sample, which is bounded
+    if not table.num_rows:
         return KneserNeyRatio(order)
-    model = KneserNeyRatio.fit(counts, order)
-    shared = spark.sparkContext.broadcast(model)
-
-    def run(batches):
-        scorer = Scorer(shared.value)
-        for batch in batches:
-            x = [scorer.features(t.as_py()) for t in batch.column(0)]
-            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in x], pa.float64()), pa.array([b for _, b in x], pa.float64()), batch.column(1)], names=["a", "b", "y"])
-
-    late = rows.where(F.col("_late")).select("text", "_y").mapInArrow(run, "a double, b double, y int").toArrow()
-    x, y = np.column_stack([late["a"].to_numpy(), late["b"].to_numpy()]) if late.num_rows else np.zeros((0, 2)), late["y"].to_numpy()
-    if len(y) < 4 or len(set(y.tolist())) < 2:
-        model.weights = (-2.0, 20.0, 5.0)
-    else:
-        model.weights = tuple(logistic(x, y))
+    keys = table["gram"].to_pylist()
+    counts = np.array([[table[f"n{y}{k}"].to_numpy() for k in range(PARTS)] for y in (0, 1)])
+
+    def model_of(n: np.ndarray) -> KneserNeyRatio:
+        some = np.flatnonzero(n.sum(0))
+        return KneserNeyRatio.fit(dict(zip([keys[i] for i in some.tolist()], zip(n[0, some].tolist(), n[1, some].tolist()))), order)
+
+    model = model_of(counts.sum(1))
+    x, y = [], []
+    for k in range(PARTS):
+        shared = spark.sparkContext.broadcast(model_of(counts.sum(1) - counts[:, k]))  # one at a time
+
+        def run(batches, shared=shared):
+            scorer = Scorer(shared.value)
+            for batch in batches:
+                x = [scorer.features(t.as_py()) for t in batch.column(0)]
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float64())), batch.column(1)], names=["x", "y"])
+
+        judged = rows.where(F.col("_part") == k).select("text", "_y").mapInArrow(run, "x array<double>, y int").toArrow()
+        x += judged["x"].to_pylist()
+        y += judged["y"].to_pylist()
+        shared.unpersist()
+    x, y = np.array(x).reshape(-1, 1 + len(WINDOWS)), np.array(y, int)
+    if len(set(y.tolist())) < 2:
+        return KneserNeyRatio(order)
+    model.weights = tuple(logistic(x, y).tolist())
     model.fitted = True
     return model
 
@@ -217,4 +254,4 @@ def score(docs: DataFrame, model: KneserNeyRatio, folds: int = 5) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=["doc_id", "score", "predicted"])
 
     scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, score double, predicted int")
-    return scored.select("doc_id", (fold("doc_id", folds) == 0).alias("held_out"), "score", "predicted")
+    return scored.select("doc_id", F.coalesce(fold("doc_id", folds) == 0, F.lit(False)).alias("held_out"), "score", "predicted")

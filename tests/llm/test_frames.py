@@ -277,6 +277,18 @@ def test_held_out_accuracy(spark, sf):
     assert queries.op2_language_id(spark, sf).where(F.col("held_out") != (fold("doc_id", 4) == 2)).count() == 0
 
 
+def test_toxicity_on_held_out_rows(spark):
+    """Rows that the models never saw: clean ones are left alone, most toxic ones found; ids and labels may repeat, columns clash."""
+    sf = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    more = docs.unionByName(docs.limit(20)).withColumn("toxic", F.lit(1)).withColumn("_y", F.lit("x"))
+    model = toxicity.fit(more, labels.unionByName(labels.limit(30)).withColumn("text", F.lit("none")))
+    got = toxicity.score(more, model).join(labels, "doc_id").where("held_out").select("toxic", "predicted").collect()
+    clean, toxic = ([r["predicted"] for r in got if r["toxic"] == y] for y in (0, 1))
+    assert sum(clean) <= 0.05 * len(clean) and sum(toxic) >= 0.5 * len(toxic) > 0
+    assert toxicity.score(docs, toxicity.fit(docs, labels.where("toxic = 0"))).where("score > 0").count() == 0
+
+
 def test_language_stage_rejects_what_no_language_fits(spark, sf):
     rnd = np.random.default_rng(4)
     docs = spark.read.parquet(f"{sf}/documents.parquet")
