@@ -256,3 +256,18 @@ def label(docs: DataFrame, model: LanguageModel, penalty: float = 8.0, spans: bo
     schema = "doc_id long, lang_pred string, score double, n_spans int" + ", spans array<struct<first:int,words:int,lang:string>>" * spans + ", evidence double, fits boolean" * fits
     out = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
     return out.select("doc_id", F.coalesce(fold("doc_id", folds) == held, F.lit(False)).alias("held_out"), *out.columns[1:])
+
+
+def keep(docs: DataFrame, model: LanguageModel, least_share: float, penalty: float = 8.0, text_col: str = "text") -> DataFrame:
+    """The rows whose text fits its language and has `least_share` of its letters in it, with all their columns, whatever their ids."""
+    ship(docs.sparkSession)
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches):
+        labeller, limits = Labeller(shared.value, penalty), shared.value.limits
+        for batch in batches:
+            at = batch.schema.get_field_index(text_col)
+            got = [labeller.judge(t.as_py()) for t in batch.column(at)]
+            yield batch.filter(pa.array([x != UNKNOWN and share >= least_share and e is not None and e >= limits.get(x, math.inf) for x, share, _, e in got], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

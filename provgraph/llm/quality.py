@@ -77,24 +77,43 @@ def verdict(size: int, ratio: float, bad: int, chunks: int, bands=BANDS) -> str:
     return "chunks" if bad > (1 if chunks == 2 else chunks // 5) else "ok"
 
 
+def judged(text: str | None, compress, bands=BANDS) -> tuple:
+    """Base counts, base_failed, ratio, chunks outside their band, chunks, band and kept of a text."""
+    counts = base_counts(text)
+    raw = (text or "").encode()
+    failed = counts[0] < 50 or 100 * counts[4] > 50 * counts[0]
+    ratio, bad, chunks = compression(raw, compress)
+    band = verdict(len(raw), ratio, bad, chunks, bands)
+    return (*counts, failed, ratio, bad, chunks, band, not failed and band == "ok")
+
+
+def _compressor(level: int):
+    import zstandard
+
+    return zstandard.ZstdCompressor(level=level, write_content_size=False, write_checksum=False).compress
+
+
+def keep(docs: DataFrame, text_col: str = "text", level: int = 3, bands=BANDS) -> DataFrame:
+    """The rows that the rules keep, with all their columns, whatever their ids; no row is joined or moved."""
+    ship(docs.sparkSession)
+
+    def run(batches):
+        compress = _compressor(level)
+        for batch in batches:
+            at = batch.schema.get_field_index(text_col)
+            yield batch.filter(pa.array([judged(t.as_py(), compress, bands)[-1] for t in batch.column(at)], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def quality(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", level: int = 3, bands=BANDS) -> DataFrame:
     """Base counts, compression ratios, the band's verdict and `kept` for every document."""
     ship(docs.sparkSession)
 
     def run(batches):
-        import zstandard
-
-        compress = zstandard.ZstdCompressor(level=level, write_content_size=False, write_checksum=False).compress
+        compress = _compressor(level)
         for batch in batches:
-            rows = []
-            for i, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                text = text.as_py()
-                counts = base_counts(text)
-                raw = (text or "").encode()
-                failed = counts[0] < 50 or 100 * counts[4] > 50 * counts[0]
-                ratio, bad, chunks = compression(raw, compress)
-                band = verdict(len(raw), ratio, bad, chunks, bands)
-                rows.append((i, *counts, failed, ratio, bad, chunks, band, not failed and band == "ok"))
+            rows = [(i, *judged(text.as_py(), compress, bands)) for i, text in zip(batch.column(0).to_pylist(), batch.column(1))]
             names = [f.split()[0] for f in SCHEMA.split(", ")]
             kinds = {"long": pa.int64(), "double": pa.float64(), "boolean": pa.bool_(), "string": pa.string()}
             columns = list(zip(*rows)) or [()] * len(names)

@@ -303,6 +303,25 @@ def test_language_stage_rejects_what_no_language_fits(spark, sf):
     assert not kept & {-1, -2, -3, -4} and len(clean & kept) >= 0.97 * len(clean)
 
 
+def test_pipeline_rows(spark, sf, odd, none):
+    """Null and repeated ids, ties, extra columns: every row is judged by itself, and one of each group stays."""
+    good = [r["text"] for r in spark.read.parquet(f"{sf}/documents.parquet").where("lang = 'en'").orderBy("doc_id").collect() if quality.judged(r["text"], quality._compressor(3))[-1]]
+    a, b, c = good[0], good[1], good[2]
+    rows = [(None, a, "en", "s", 1, 1, "k", 1), (7, b, "en", "s", 1, 2, "k", 1), (7, c, "en", "s", 1, 3, "k", 1), (7, c, "en", "s", 1, 3, "k", 1), (9, a + " tail", None, "s", 1, 4, "k", 1), (None, "", "en", "s", 0, 5, "k", 1), (3, None, None, None, None, 6, None, None), (5, a, "en", "s", 1, 7, "k", 1)]
+    docs = spark.createDataFrame(rows, DOCS)
+    kept = corpus_pipeline.quality_rules(spark, docs, sf)
+    assert kept.columns == docs.columns and sorted(r["n"] for r in kept.collect()) == [1, 2, 3, 3, 4, 7]
+    every = docs.unionByName(spark.read.parquet(f"{sf}/documents.parquet").where("doc_id > 9"), allowMissingColumns=True)
+    fits = corpus_pipeline.language(spark, every, sf)
+    assert fits.columns == docs.columns and sorted(r["n"] for r in fits.where("n is not null").collect()) == [1, 2, 3, 3, 4, 7]
+    one = corpus_pipeline.near_copies(spark, docs, sf)
+    assert one.columns == docs.columns and sorted(r["n"] for r in one.collect()) == [2, 3, 5, 6, 7]
+    packed = corpus_pipeline.pack(spark, docs, sf).groupBy("doc_id").agg(F.countDistinct("start", "length", "ids_crc32").alias("n")).collect()
+    assert {r["doc_id"] for r in packed} == {None, 3, 5, 7, 9}
+    for _, step in corpus_pipeline.STAGES:
+        assert step(spark, docs.where("false"), sf).count() == 0
+
+
 def test_pipeline(spark, sf, none):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     kept = {r["doc_id"] for r in corpus_pipeline.quality_rules(spark, docs, sf).collect()}
