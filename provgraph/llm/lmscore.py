@@ -51,24 +51,47 @@ def pair_keys(v: np.ndarray, w: np.ndarray) -> np.ndarray:
         return k ^ (k >> np.uint64(31))
 
 
+def _squeezed(raw: bytes) -> bytes:
+    import zstandard
+
+    return zstandard.ZstdCompressor(level=1).compress(raw)
+
+
+def _whole(raw: bytes) -> bytes:
+    import zstandard
+
+    return zstandard.ZstdDecompressor().decompress(raw)
+
+
+def planes(x: np.ndarray) -> bytes:
+    """Numbers byte by byte of their width, so that the empty bytes of all stand together, compressed."""
+    width = x.dtype.itemsize
+    return _squeezed(np.ascontiguousarray(np.ascontiguousarray(x).view(np.uint8).reshape(-1, width).T).tobytes())
+
+
+def numbers(raw: bytes, kind: str) -> np.ndarray:
+    width = np.dtype(kind).itemsize
+    return np.ascontiguousarray(np.frombuffer(_whole(raw), np.uint8).reshape(width, -1).T).view(kind).ravel()
+
+
 def pack(keys: np.ndarray) -> bytes:
-    """Sorted keys as differences, byte by byte of their width, so that the empty bytes of all stand together."""
-    return np.ascontiguousarray(np.diff(keys, prepend=np.uint64(0)).astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
+    """Sorted keys as differences."""
+    return planes(np.diff(keys, prepend=np.uint64(0)).astype("<u8"))
 
 
 def unpack(raw: bytes) -> np.ndarray:
     with np.errstate(over="ignore"):
-        return np.cumsum(np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view("<u8").ravel(), dtype=np.uint64)
+        return np.cumsum(numbers(raw, "<u8"), dtype=np.uint64)
 
 
 def pack_counts(n: np.ndarray) -> bytes:
     most = int(n.max()) if len(n) else 0
     width = next(w for w in (1, 2, 4, 8) if most < 1 << (8 * w))
-    return bytes([width]) + n.astype(f"<u{width}").tobytes()
+    return bytes([width]) + planes(n.astype(f"<u{width}"))
 
 
 def unpack_counts(raw: bytes) -> np.ndarray:
-    return np.frombuffer(raw, f"<u{raw[0]}", offset=1).astype(np.int64)
+    return numbers(raw[1:], f"<u{raw[0]}").astype(np.int64)
 
 
 class Chunk:
@@ -85,11 +108,11 @@ class Chunk:
     @classmethod
     def stored(cls, sizes: np.ndarray, words: bytes, text: bytes) -> Chunk:
         out = cls.__new__(cls)
-        out.sizes, out.words, out.text = sizes, unpack(words), np.ascontiguousarray(np.frombuffer(text, np.uint8).reshape(4, -1).T).view("<u4").ravel()
+        out.sizes, out.words, out.text = sizes, unpack(words), numbers(text, "<u4")
         return out
 
     def store(self) -> tuple[bytes, bytes]:
-        return pack(self.words), np.ascontiguousarray(self.text.view(np.uint8).reshape(-1, 4).T).tobytes()
+        return pack(self.words), planes(self.text)
 
     def steps(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(document, word before, word) of each word and each end of the texts that hold a word."""

@@ -6,6 +6,7 @@ import atexit
 import gc
 import os
 import tempfile
+import time
 import uuid
 import zipfile
 from pathlib import Path
@@ -91,8 +92,10 @@ class Stage:
 
     def release(self) -> None:
         """Let Spark remove the shuffle files of steps whose tables are written: it does so when their frames are collected as garbage."""
-        gc.collect()
-        self.spark.sparkContext._jvm.System.gc()
+        for _ in range(2):  # the JVM's frames are let go a moment after Python's
+            gc.collect()
+            self.spark.sparkContext._jvm.System.gc()
+            time.sleep(0.25)
 
 
 def fold(id_col: str | Column, n: int) -> Column:
