@@ -10,31 +10,25 @@ KEY = ["qid", "ans"]
 
 def touches(ids: DataFrame, index: DataFrame) -> bool:
     """Does any of the edges occur in the index?  If not, the deletion changes nothing."""
-    return not index.join(F.broadcast(ids), "edge_id", "left_semi").isEmpty()
+    return not index.join(ids, "edge_id", "left_semi").isEmpty()
 
 
 def candidates(ids: DataFrame, index: DataFrame) -> DataFrame:
     """Answers with a derivation by one of the edges."""
-    return index.join(F.broadcast(ids), "edge_id", "left_semi").select(*KEY).distinct()
+    return index.join(ids, "edge_id", "left_semi").select(*KEY).distinct()
 
 
-def dead(rows: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows whose monomial holds one of the edges, each once."""
+def dead(rows: DataFrame, ids: DataFrame, edges: str = "mono") -> DataFrame:
+    """Rows that hold one of the edges, each once: the monomials whose value is zero."""
     key = [c for c in rows.columns if c != "n"]
-    hit = rows.select(*key, F.explode(F.array_distinct("mono")).alias("edge_id")).join(F.broadcast(ids), "edge_id", "left_semi").select(*key).distinct()
+    hit = rows.select(*key, F.explode(F.array_distinct(edges)).alias("edge_id")).join(ids, "edge_id", "left_semi").select(*key).distinct()
     return rows.join(hit, key, "left_semi")
 
 
-def live(rows: DataFrame, ids: DataFrame) -> DataFrame:
-    key = [c for c in rows.columns if c != "n"]
-    hit = rows.select(*key, F.explode(F.array_distinct("mono")).alias("edge_id")).join(F.broadcast(ids), "edge_id", "left_semi").select(*key).distinct()
-    return rows.join(hit, key, "left_anti")
-
-
 def refine(deriv: DataFrame, ids: DataFrame, index: DataFrame | None = None) -> DataFrame:
     """(qid, ans, left, lost): derivations that the candidates keep and lose.
 
-    With the index only candidates' derivations are read; without it all monomials are.
+    With the index only candidates' derivations are valued; without it all monomials are.
     """
     d = deriv.join(candidates(ids, index), KEY, "left_semi") if index is not None else deriv
     gone = dead(d, ids).groupBy(*KEY).agg(F.sum("n").alias("lost"))
@@ -42,5 +36,5 @@ def refine(deriv: DataFrame, ids: DataFrame, index: DataFrame | None = None) ->
 
 
 def verdicts(refined: DataFrame) -> DataFrame:
-    """(qid, ans, change): removed where all monomials are zero, else support_lost."""
-    return refined.select(*KEY, F.when(F.col("left") == 0, "removed").otherwise("support_lost").alias("change"))
+    """(qid, ans, change, n): removed where all monomials are zero, else support_lost."""
+    return refined.select(*KEY, F.when(F.col("left") == 0, "removed").otherwise("support_lost").alias("change"), F.col("lost").alias("n"))

@@ -39,16 +39,30 @@ def constraints(triples: DataFrame, acyclic=()) -> Constraints:
     return Constraints(named("functional"), named("inverse_functional"), named("asymmetric") - named("symmetric"), named("irreflexive"), frozenset(acyclic) | apart, named("symmetric"), dom)
 
 
-def broken_by(delta: DataFrame, triples: DataFrame, c: Constraints) -> dict[str, set]:
-    """Constraints that the new edges break; reads the neighbours of the new edges only."""
-    out: dict[str, set] = {}
-    near = triples.join(F.broadcast(delta.select("p", "s").distinct()), ["p", "s"], "left_semi").select("p", "s", "o").union(delta.select("p", "s", "o")).distinct()
-    out["functional"] = {r["p"] for r in near.groupBy("p", "s").count().where("count > 1").select("p").distinct().collect()} & c.functional
-    near = triples.join(F.broadcast(delta.select("p", "o").distinct()), ["p", "o"], "left_semi").select("p", "s", "o").union(delta.select("p", "s", "o")).distinct()
-    out["inverse_functional"] = {r["p"] for r in near.groupBy("p", "o").count().where("count > 1").select("p").distinct().collect()} & c.inverse_functional
-    out["irreflexive"] = {r["p"] for r in delta.where("s = o").select("p").distinct().collect()} & c.irreflexive
-    both = triples.select("p", "s", "o").union(delta.select("p", "s", "o"))
-    back = delta.select("p", F.col("o").alias("s"), F.col("s").alias("o"))
-    out["asymmetric"] = {r["p"] for r in both.join(F.broadcast(back), ["p", "s", "o"], "left_semi").select("p").distinct().collect()} & c.asymmetric
-    out["acyclic"] = {r["p"] for r in delta.select("p").distinct().collect()} & c.acyclic
+def broken_by(delta: DataFrame, triples: DataFrame, c: Constraints) -> dict:
+    """Constraints that the new edges break, and classes new to a domain; reads the neighbours of the new edges only."""
+    labels = {r["p"] for r in delta.select("p").distinct().collect()}  # a row for each label of the batch
+    out: dict = {}
+    own = delta.select("p", "s", "o").distinct()
+    for name, end, other in (("functional", "s", "o"), ("inverse_functional", "o", "s")):
+        if labels & getattr(c, name):
+            near = triples.join(own.select("p", end).distinct(), ["p", end], "left_semi").select("p", end, other).unionByName(own.select("p", end, other)).distinct()
+            out[name] = {r["p"] for r in near.groupBy("p", end).count().where("count > 1").select("p").distinct().collect()} & getattr(c, name)
+    if labels & c.irreflexive:
+        out["irreflexive"] = {r["p"] for r in own.where("s = o").select("p").distinct().collect()} & c.irreflexive
+    if labels & c.asymmetric:
+        back = own.select("p", F.col("o").alias("s"), F.col("s").alias("o"))
+        both = triples.select("p", "s", "o").unionByName(own)
+        out["asymmetric"] = {r["p"] for r in both.join(back, ["p", "s", "o"], "left_semi").select("p").distinct().collect()} & c.asymmetric
+    # a label of which ends have no class in common stays acyclic as long as that holds; any other may have closed a cycle
+    if c.domains:
+        seen = own.select("p", F.lit("s").alias("end"), F.split("s", ":")[0].alias("c")).unionByName(own.select("p", F.lit("o").alias("end"), F.split("o", ":")[0].alias("c"))).distinct().collect()
+        more: dict = {}
+        for r in seen:
+            if (r["p"], r["end"]) in c.domains and r["c"] not in c.domains[r["p"], r["end"]]:
+                more.setdefault((r["p"], r["end"]), set()).add(r["c"])
+        if more:
+            out["domains"] = more
+    wide = lambda p, e: c.domains.get((p, e), frozenset()) | out.get("domains", {}).get((p, e), set())
+    out["acyclic"] = {p for p in labels & c.acyclic if not (wide(p, "s") and wide(p, "o") and not wide(p, "s") & wide(p, "o"))}
     return {k: v for k, v in out.items() if v}

@@ -68,9 +68,15 @@ def from_events(events: DataFrame) -> DataFrame:
 
 
 def net(updates: DataFrame) -> DataFrame:
-    """The last update of each edge id (and direction) decides."""
-    last = F.max_by(F.struct("op", "s", "p", "o", "inverse"), "seq")
-    # a delete names the edge, so it ends both rows of a symmetric one
-    final = updates.groupBy("edge_id").agg(F.max_by("op", "seq").alias("_final"))
-    rows = updates.groupBy("edge_id", "inverse").agg(last.alias("u"), F.max("seq").alias("seq")).select("edge_id", "seq", "u.op", "u.s", "u.p", "u.o", "inverse")
-    return rows.join(final, "edge_id").where(F.col("op") == F.col("_final")).drop("_final")
+    """(edge_id, op, s, p, o, inverse): a 'del' for each id that some update deletes, and the rows that are in afterwards.
+
+    Those are the rows of the first insert behind the last delete; later inserts of an id that is there change nothing.
+    """
+    per = updates.groupBy("edge_id").agg(F.max(F.when(F.col("op") == "del", F.col("seq"))).alias("_del"))
+    j = updates.join(per, "edge_id")
+    ins = j.where((F.col("op") == "ins") & (F.col("_del").isNull() | (F.col("seq") > F.col("_del"))))
+    first = ins.groupBy("edge_id", "inverse").agg(F.min_by(F.struct("s", "p", "o"), "seq").alias("u"), F.min("seq").alias("_seq"))
+    least = first.groupBy("edge_id").agg(F.min("_seq").alias("_first"))
+    rows = first.join(least, "edge_id").where(F.col("_seq") == F.col("_first")).select("edge_id", F.lit("ins").alias("op"), "u.s", "u.p", "u.o", "inverse")
+    none = F.lit(None).cast("string")
+    return per.where("_del is not null").select("edge_id", F.lit("del").alias("op"), none.alias("s"), none.alias("p"), none.alias("o"), F.lit(False).alias("inverse")).unionByName(rows)
