@@ -19,11 +19,13 @@ labels counts as toxic if one says so; a null id is not held out.
 from __future__ import annotations
 
 import math
+import pickle
 from collections import Counter, defaultdict
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -88,32 +90,25 @@ class KneserNeyRatio:
 
 def _shared_backoff(counts: dict, discount: float):
     """Interpolated Kneser-Ney probabilities of the lower orders, from the n-gram types of both classes."""
-    followers: list[dict[str, Counter]] = []
-    level = {g[1:] for g in counts}
-    grown = Counter(g[1:] for g in counts)
+    kinds_before: Counter = Counter()
+    level = Counter(g[1:] for g in counts)
     while level:
-        table: dict[str, Counter] = defaultdict(Counter)
-        for g in level:
-            table[g[:-1]][g[-1]] += grown[g]
-        followers.append(table)
-        grown = Counter(g[1:] for g in level if len(g) > 1)
-        level = set(grown)
-    by_length: dict[int, dict[str, Counter]] = defaultdict(lambda: defaultdict(Counter))
-    for table in followers:
-        for h, c in table.items():
-            by_length[len(h)][h].update(c)
-    sums = {n: {h: (sum(c.values()), len(c)) for h, c in t.items()} for n, t in by_length.items()}
+        for g, n in level.items():
+            kinds_before[g] += n
+        level = Counter(g[1:] for g in level if len(g) > 1)
+    sums: dict[str, list[int]] = {}
+    for g, n in kinds_before.items():
+        at = sums.setdefault(g[:-1], [0, 0])
+        at[0] += n
+        at[1] += 1
     alphabet = max(1, len({g[-1] for g in counts}))
 
     def p(g: str) -> float:
-        if not g:
-            return 1.0 / alphabet
-        h, c = g[:-1], g[-1]
         lower = p(g[1:]) if len(g) > 1 else 1.0 / alphabet
-        n, kinds = sums.get(len(h), {}).get(h, (0, 0))
+        n, kinds = sums.get(g[:-1], (0, 0))
         if not n:
             return lower
-        return max(by_length[len(h)][h][c] - discount, 0) / n + discount * kinds / n * lower
+        return max(kinds_before.get(g, 0) - discount, 0) / n + discount * kinds / n * lower
 
     return p
 
@@ -208,35 +203,35 @@ def fit(docs: DataFrame, labels: DataFrame, order: int = ORDER, max_train_docs:
     sample = F.broadcast(spark.createDataFrame(chosen[0] + chosen[1], "_id long, _y int"))
     rows = docs.select("doc_id", "text").join(sample, F.col("doc_id") == F.col("_id")).groupBy("doc_id").agg(F.min("text").alias("text"), F.max("_y").alias("_y"))
     rows = Stage(spark).table(rows.select("text", "_y", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(PARTS)).cast("int").alias("_part")), "sample")
-    counted = _gram_counts(rows, order).where(F.col("docs") >= LEAST_DOCS).drop("docs")
-    table = counted.toArrow()  # n-grams of the sample, which is bounded
-    if not table.num_rows:
-        return KneserNeyRatio(order)
-    keys = table["gram"].to_pylist()
-    counts = np.array([[table[f"n{y}{k}"].to_numpy() for k in range(PARTS)] for y in (0, 1)])
-
-    def model_of(n: np.ndarray) -> KneserNeyRatio:
-        some = np.flatnonzero(n.sum(0))
-        return KneserNeyRatio.fit(dict(zip([keys[i] for i in some.tolist()], zip(n[0, some].tolist(), n[1, some].tolist()))), order)
-
-    model = model_of(counts.sum(1))
-    x, y = [], []
-    for k in range(PARTS):
-        shared = spark.sparkContext.broadcast(model_of(counts.sum(1) - counts[:, k]))  # one at a time
-
-        def run(batches, shared=shared):
-            scorer = Scorer(shared.value)
-            for batch in batches:
-                x = [scorer.features(t.as_py()) for t in batch.column(0)]
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float64())), batch.column(1)], names=["x", "y"])
-
-        judged = rows.where(F.col("_part") == k).select("text", "_y").mapInArrow(run, "x array<double>, y int").toArrow()
-        x += judged["x"].to_pylist()
-        y += judged["y"].to_pylist()
-        shared.unpersist()
-    x, y = np.array(x).reshape(-1, 1 + len(WINDOWS)), np.array(y, int)
-    if len(set(y.tolist())) < 2:
+    counted = Stage(spark).table(_gram_counts(rows, order).where(F.col("docs") >= LEAST_DOCS), "grams")  # n-grams of the sample, which is bounded
+    # part k of the sample is judged by the model of all others; k = PARTS is the model of all
+    sums = [F.struct(F.lit(k).alias("k"), *(sum((F.col(f"n{y}{j}") for j in range(PARTS) if j != k), F.lit(0).cast("long")).alias(f"n{y}") for y in (0, 1))) for k in range(PARTS + 1)]
+    left = counted.select("gram", F.explode(F.array(*sums)).alias("c")).select("c.k", "gram", "c.n0", "c.n1").where("n0 + n1 > 0")
+
+    def run(key, grams_of, texts):
+        k = key[0].as_py()
+        empty = {"k": pa.array([], pa.int32()), "x": pa.array([], pa.list_(pa.float64())), "y": pa.array([], pa.int32()), "model": pa.array([], pa.binary())}
+        if not grams_of.num_rows:
+            return pa.table(empty)
+        counts = dict(zip(grams_of.column("gram").to_pylist(), zip(grams_of.column("n0").to_pylist(), grams_of.column("n1").to_pylist())))
+        model = KneserNeyRatio.fit(counts, order)
+        del counts
+        if k == PARTS:
+            raw = pickle.dumps(model, 5)
+            pieces = [raw[i : i + (8 << 20)] for i in range(0, len(raw), 8 << 20)]
+            return pa.table({"k": pa.array([PARTS + i for i in range(len(pieces))], pa.int32()), "x": pa.nulls(len(pieces), pa.list_(pa.float64())), "y": pa.nulls(len(pieces), pa.int32()), "model": pa.array(pieces, pa.binary())})
+        scorer = Scorer(model)
+        x = [scorer.features(t.as_py()) for t in texts.column("text")]
+        return pa.table({"k": pa.array([k] * len(x), pa.int32()), "x": pa.array(x, pa.list_(pa.float64())), "y": texts.column("_y").combine_chunks().cast(pa.int32()), "model": pa.nulls(len(x), pa.binary())})
+
+    texts = rows.select(F.col("_part").alias("k"), "text", "_y")
+    got = left.groupBy("k").cogroup(texts.groupBy("k")).applyInArrow(run, "k int, x array<double>, y int, model binary").toArrow()  # a row for each row of the sample, and the model
+    whole = got.filter(pa.compute.is_valid(got["model"])).sort_by("k")
+    judged = got.filter(pa.compute.is_valid(got["x"]))
+    x, y = np.array(judged["x"].to_pylist()).reshape(-1, 1 + len(WINDOWS)), np.array(judged["y"].to_pylist(), int)
+    if not whole.num_rows or len(set(y.tolist())) < 2:
         return KneserNeyRatio(order)
+    model = pickle.loads(b"".join(whole["model"].to_pylist()))
     model.weights = tuple(logistic(x, y).tolist())
     model.fitted = True
     return model
