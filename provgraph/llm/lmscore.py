@@ -19,6 +19,8 @@ repeated for a document count once.
 
 from __future__ import annotations
 
+from array import array
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -30,7 +32,9 @@ from .runtime import Stage, ship, shuffle_partitions
 #: Words that the unigram distribution is worth in each context.
 MASS = 4.0
 #: Words of a chunk (a longer text is a chunk by itself).
-CHUNK_WORDS = 400_000
+CHUNK_WORDS = 1_000_000
+#: Rows of a chunk, however short.
+CHUNK_ROWS = 100_000
 #: Keys of the start and the end of a text.
 START, END = np.uint64(1), np.uint64(2)
 _K = np.uint64(0x9E3779B97F4A7C15)
@@ -99,11 +103,21 @@ class Chunk:
 
     def __init__(self, texts: list[list[str]]):
         number: dict[str, int] = {}
-        self.sizes = np.array([len(t) for t in texts], np.int64)
-        flat = np.fromiter((number.setdefault(w, len(number)) for t in texts for w in t), np.int64, int(self.sizes.sum()))
+        flat = array("I", (number.setdefault(w, len(number)) for t in texts for w in t))
+        self._set(number, flat, [len(t) for t in texts])
+
+    def _set(self, number: dict[str, int], flat: array, sizes: list[int]) -> None:
+        self.sizes = np.array(sizes, np.int64)
         keys = np.fromiter(map(xxhash.xxh64_intdigest, number), np.uint64, len(number))
         self.words, at = np.unique(keys, return_inverse=True)
-        self.text = (at[flat] + 2).astype("<u4") if len(flat) else np.zeros(0, "<u4")
+        self.text = (at[np.frombuffer(flat, np.uint32)] + 2).astype("<u4") if len(flat) else np.zeros(0, "<u4")
+
+    @classmethod
+    def numbered(cls, number: dict[str, int], flat: array, sizes: list[int]) -> Chunk:
+        """From words numbered as they came, so that no list of all words is held."""
+        out = cls.__new__(cls)
+        out._set(number, flat, sizes)
+        return out
 
     @classmethod
     def stored(cls, sizes: np.ndarray, words: bytes, text: bytes) -> Chunk:
@@ -145,8 +159,8 @@ def _chunks(texts: DataFrame, many: int) -> DataFrame:
     names = [f.split()[0] for f in CHUNKS.split(", ")]
     kinds = [pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.bool_()), pa.binary(), pa.binary()]
 
-    def rows(name, ids, chosen, lists):
-        chunk = Chunk(lists)
+    def rows(name, ids, chosen, number, flat, sizes):
+        chunk = Chunk.numbered(number, flat, sizes)
         mark = np.array(chosen, bool)
         doc, v, w = chunk.steps()
         keys, yes = chunk.keys, mark[doc]
@@ -171,19 +185,19 @@ def _chunks(texts: DataFrame, many: int) -> DataFrame:
         from pyspark import TaskContext
 
         name = TaskContext.get().partitionId() << 32
-        ids, chosen, lists, size = [], [], [], 0
+        ids, chosen, number, flat, sizes = [], [], {}, array("I"), []
         for batch in batches:
             for i, text, y in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
                 words = words_of(text.as_py())
-                if size and size + len(words) > CHUNK_WORDS:
-                    yield rows(name, ids, chosen, lists)
-                    name, ids, chosen, lists, size = name + 1, [], [], [], 0
+                if ids and (len(flat) + len(words) > CHUNK_WORDS or len(ids) >= CHUNK_ROWS):
+                    yield rows(name, ids, chosen, number, flat, sizes)
+                    name, ids, chosen, number, flat, sizes = name + 1, [], [], {}, array("I"), []
                 ids.append(i)
                 chosen.append(y)
-                lists.append(words)
-                size += len(words) + 1
+                sizes.append(len(words))
+                flat.extend([number.setdefault(w, len(number)) for w in words])
         if ids:
-            yield rows(name, ids, chosen, lists)
+            yield rows(name, ids, chosen, number, flat, sizes)
 
     return texts.mapInArrow(run, CHUNKS)
 
@@ -252,10 +266,7 @@ def difference(docs: DataFrame, target: DataFrame, id_col: str = "doc_id", text_
     marked = docs.select(F.col(id_col).cast("long").alias("_d"), F.col(text_col).alias("_text")).join(chosen.hint("merge"), F.col("_d") == F.col("_t"), "left")
     many = shuffle_partitions(spark)
     chunks = stage.table(_chunks(marked.select("_d", "_text", F.col("_t").isNotNull().alias("_y")), many), "chunks")
-    del marked
-    stage.release()
     counts = stage.table(_answers(chunks.where("range is not null").select("chunk", "range", "keys", "n", "target")), "counts")
-    stage.release()
     total = counts.where("chunk is null").agg(*(F.coalesce(F.sum(F.when(F.col("range") < many, F.col(c))), F.lit(0)).alias(c) for c in ("size", "sum_n", "sum_target"))).first()
     size, sums = total["size"], (total["sum_target"], total["sum_n"])
 

@@ -3,10 +3,8 @@
 from __future__ import annotations
 
 import atexit
-import gc
 import os
 import tempfile
-import time
 import uuid
 import zipfile
 from pathlib import Path
@@ -14,6 +12,8 @@ from pathlib import Path
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Spark's switch, changeable in a session, by which a statement's shuffle files are removed when it ends.
+CLEAN_SHUFFLES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _PACKAGE = Path(__file__).resolve().parents[1]
 _shipped: dict[str, str] = {}
 _spaces: dict[str, str] = {}
@@ -81,8 +81,18 @@ class Stage:
         return f"{self.root}/{self.n:03d}_{name}"
 
     def table(self, df: DataFrame, name: str) -> DataFrame:
+        """Write a table and read it back; shuffle files of its making go at once, as nothing needs them behind the table."""
         at = self.path(name)
-        df.write.option("compression", "zstd").parquet(at)
+        conf = self.spark.conf
+        before = conf.get(CLEAN_SHUFFLES, None)
+        conf.set(CLEAN_SHUFFLES, "true")
+        try:
+            df.write.option("compression", "zstd").parquet(at)
+        finally:
+            if before is None:
+                conf.unset(CLEAN_SHUFFLES)
+            else:
+                conf.set(CLEAN_SHUFFLES, before)
         out = self.spark.read.schema(df.schema).parquet(at)
         out._stage_path = at
         return out
@@ -90,13 +100,6 @@ class Stage:
     def drop(self, df: DataFrame) -> None:
         drop(self.spark, df._stage_path)
 
-    def release(self) -> None:
-        """Let Spark remove the shuffle files of steps whose tables are written: it does so when their frames are collected as garbage."""
-        for _ in range(2):  # the JVM's frames are let go a moment after Python's
-            gc.collect()
-            self.spark.sparkContext._jvm.System.gc()
-            time.sleep(0.25)
-
 
 def fold(id_col: str | Column, n: int) -> Column:
     """crc32 of the id's text modulo n."""
