@@ -221,16 +221,16 @@ class Maintainer:
             return self.spark.createDataFrame([], CHANGES)
         new = old.unionByName(delta)
         plain = one_edge and sum(r["count"] for r in seen) == 1 and all(klass(q, self.constraints) == "plain" for q in touched)
-        halves, fresh_nodes = None, None
+        fresh_nodes = None
         if self.keeps and not plain:
             with self._span("subquery"):
                 fresh_nodes = self._refreshed(delta, old, labels)
         with self._span("response"):
             if self.keeps:
                 halves = self._halves().withColumn("fresh", F.lit(None).cast("array<boolean>"))
-                if fresh_nodes is not None:
-                    kept = [self.catalog.number[k] for k in self.catalog.kept()]
-                    halves = halves.unionByName(fresh_nodes.where(F.col("node").isin(kept)).select(*halves.columns))
+                kept = [self.catalog.number[k] for k in self.catalog.kept()]
+                for level in fresh_nodes or ():
+                    halves = halves.unionByName(level.where(F.col("node").isin(kept)).select(*halves.columns))
                 fresh = added.single(delta, halves, old, new, self.catalog, labels)
             else:
                 frames = [derivations(m, q) for q in touched for m in added.telescoped(delta, old, new, q, labels)]
@@ -243,8 +243,9 @@ class Maintainer:
         with self._span("maintenance"):
             if self.keeps and plain:
                 fresh_nodes = self._refreshed(delta, old, labels)
-            if fresh_nodes is not None and self.catalog.policy != "none":
-                self._adopt("nodes", fresh_nodes)
+            if self.catalog.policy != "none":
+                for level in fresh_nodes or ():
+                    self._adopt("nodes", level)
             self._adopt("deriv", fresh)
             self._indexed(fresh)
             self._adopt("triples", delta)
@@ -260,14 +261,22 @@ class Maintainer:
         self.spark.createDataFrame([], self.tables[name].schema).write.parquet(at)
         return at
 
-    def _refreshed(self, delta: DataFrame, old: DataFrame, labels: set[str]) -> DataFrame:
-        """New rows of the kept nodes in which a label of the batch occurs."""
+    def _refreshed(self, delta: DataFrame, old: DataFrame, labels: set[str]) -> list[DataFrame]:
+        """New rows of the kept nodes in which a label of the batch occurs, a table for each level."""
         plan = self.catalog.plan
         affected = set(plan.affected(labels))
         refresh = Refresh(Frames(plan, old, self._stored()), delta, affected)
         keys = [k for k in (self.catalog.stored() if self.catalog.policy != "none" else self.catalog.kept()) if k in affected]
-        rows = [refresh.rows(k).select(F.lit(self.catalog.number[k]).alias("node"), "binding", "edges", "fresh") for k in keys]
-        return self._store(union_all(rows, self.spark, f"{NODE_SCHEMA}, fresh array<boolean>"), "nodes")
+        sizes: dict[int, list[str]] = {}
+        for k in keys:
+            sizes.setdefault(len(plan.nodes[k].patterns), []).append(k)
+        out = []
+        for _, level in sorted(sizes.items()):  # bottom-up: the next level reads what this one wrote
+            rows = [refresh.rows(k).selectExpr(f"{self.catalog.number[k]} AS node", "binding", "edges", "fresh") for k in level]
+            out.append(self._store(union_all(rows, self.spark, f"{NODE_SCHEMA}, fresh array<boolean>"), "nodes"))
+            for k in level:
+                refresh.made[k] = out[-1].where(f"node = {self.catalog.number[k]}").select("binding", "edges", "fresh")
+        return out
 
     def delete(self, ids: DataFrame, use_index: bool = True) -> DataFrame:
         """Delete edges by id; returns (qid, ans, change, n).  Ids that are not there change nothing."""

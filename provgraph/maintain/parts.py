@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 #: Deleted ids that are kept as a filter.
 SMALL = 10_000
 #: Parts of a table before it is compacted.
-MOST_PARTS = 12
+MOST_PARTS = 32
 
 
 class Deleted:

@@ -132,7 +132,7 @@ def union_all(frames: list[DataFrame], spark: SparkSession, schema: str) -> Data
 
 def node_rows(catalog: Catalog, frames: Frames, keys: list[str]) -> DataFrame:
     """(node, binding, edges) of some nodes."""
-    return union_all([frames.frame(k).select(F.lit(catalog.number[k]).alias("node"), "binding", "edges") for k in keys], frames.triples.sparkSession, NODE_SCHEMA)
+    return union_all([frames.frame(k).selectExpr(f"{catalog.number[k]} AS node", "binding", "edges") for k in keys], frames.triples.sparkSession, NODE_SCHEMA)
 
 
 def potential_matches(triples: DataFrame, catalog: Catalog) -> DataFrame:

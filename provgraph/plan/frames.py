@@ -26,21 +26,20 @@ def leaf(triples: DataFrame, pattern: TriplePattern, width: int) -> DataFrame:
     for column, t in zip(("s", "p", "o"), pattern.terms):
         if isinstance(t, Var) and first.setdefault(t.name, column) != column:
             triples = triples.where(F.col(column) == F.col(first[t.name]))
-    binding = F.array(*(F.col(first[f"x{i}"]) for i in range(width))) if width else F.array().cast("array<string>")
-    return triples.select(binding.alias("binding"), F.array("edge_id").alias("edges"))
+    binding = f"array({', '.join(first[f'x{i}'] for i in range(width))})" if width else "cast(array() AS array<string>)"
+    return triples.selectExpr(f"{binding} AS binding", "array(edge_id) AS edges")
 
 
 def combine(node: Node, left: DataFrame, right: DataFrame, fresh: bool = False) -> DataFrame:
     """Join of two children's rows on the variables that they share."""
     (lv, le), (rv, re) = node.maps
     shared = [v for v in lv if v in rv]
-    keys = [f"_k{v}" for v in shared]
     more = ["fresh"] if fresh else []
-    side = lambda df, own, name: df.select(*(F.col("binding")[own.index(v)].alias(k) for v, k in zip(shared, keys)), *(F.col(c).alias(f"{name}_{c}") for c in ("binding", "edges", *more)))
-    j = side(left, lv, "l").join(side(right, rv, "r"), keys)
-    binding = F.array(*(F.col("l_binding")[lv.index(v)] if v in lv else F.col("r_binding")[rv.index(v)] for v in range(node.width)))
-    pick = lambda c: F.array(*(F.col(f"l_{c}")[le.index(e)] if e in le else F.col(f"r_{c}")[re.index(e)] for e in range(len(node.patterns))))
-    return j.select(binding.alias("binding"), pick("edges").alias("edges"), *(pick(c).alias(c) for c in more))
+    side = lambda df, own, name: df.selectExpr(*(f"binding[{own.index(v)}] AS _k{v}" for v in shared), *(f"{c} AS {name}_{c}" for c in ("binding", "edges", *more)))
+    j = side(left, lv, "l").join(side(right, rv, "r"), [f"_k{v}" for v in shared])
+    pick = lambda c, own, other, many: "array(" + ", ".join(f"l_{c}[{own.index(i)}]" if i in own else f"r_{c}[{other.index(i)}]" for i in range(many)) + f") AS {c}"
+    binding = pick("binding", lv, rv, node.width) if node.width else "cast(array() AS array<string>) AS binding"
+    return j.selectExpr(binding, *(pick(c, le, re, len(node.patterns)) for c in ("edges", *more)))
 
 
 class Frames:
@@ -68,7 +67,7 @@ class Refresh:
 
     def before(self, key: str) -> DataFrame:
         n = len(self.old.plan.nodes[key].patterns)
-        return self.old.frame(key).withColumn("fresh", F.array_repeat(F.lit(False), n))
+        return self.old.frame(key).selectExpr("binding", "edges", f"array_repeat(false, {n}) AS fresh")
 
     def rows(self, key: str) -> DataFrame | None:
         if key not in self.affected:
@@ -76,7 +75,7 @@ class Refresh:
         if key not in self.made:
             node = self.old.plan.nodes[key]
             if not node.children:
-                self.made[key] = leaf(self.delta, node.patterns[0], node.width).withColumn("fresh", F.array(F.lit(True)))
+                self.made[key] = leaf(self.delta, node.patterns[0], node.width).selectExpr("*", "array(true) AS fresh")
             else:
                 a, b = node.children
                 new_a, new_b = self.rows(a), self.rows(b)
