@@ -390,13 +390,13 @@ register("upd_modify", sql_how(get("W-S4")))(_modified)
 
 
 def _mix_rule(part: int, first: str) -> tuple[str, str]:
-    """SQL conditions on edge_id: inserted later, deleted; of each hundred edges 10 - part and part, and of them ids that come back with another end."""
-    slot = "((edge_id // 7) % 100)" if first == "sql" else "pmod(floor(edge_id / 7), 100)"
+    """SQL conditions on edge_id: inserted later, deleted; of each hundred edges 10 - part and part."""
+    slot = "((edge_id // 7) % 100)" if first == "sql" else "((edge_id div 7) % 100)"
     return f"{slot} < {10 - part}", f"{slot} >= {100 - part}"
 
 
 def _mixed(s, d, part):
-    """An interleaved stream of inserts and deletes in the mix's ratio, a tenth of the deletes followed by an insert of the id with its ends' places kept."""
+    """An interleaved stream of inserts and deletes in the mix's ratio; a tenth of the deleted ids comes back at the end."""
     q = get("W-S2")
     g = _graph(s, d, q)
     new, old = _mix_rule(part, "spark")

@@ -45,10 +45,20 @@ def inserts(triples: DataFrame, labels, k: int, mode: str = "random") -> DataFra
     return drawn.join(triples.select("s", "o"), ["s", "o"], "left_anti").select("edge_id", "s", "p", "o", "inverse")
 
 
+def numbered(df: DataFrame, buckets: int = 64) -> DataFrame:
+    """Numbers from 0 for the edges, both rows of a symmetric edge alike: ranks within hashed buckets, shifted by the buckets before."""
+    ids = df.select("edge_id").distinct().withColumn("_b", F.pmod(F.xxhash64("edge_id"), F.lit(buckets)))
+    sizes = ids.groupBy("_b").agg(F.count("*").alias("_n"))
+    before = F.coalesce(F.sum("_n").over(Window.orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # a row for each bucket
+    shifts = F.broadcast(sizes.withColumn("_at", before).select("_b", "_at"))
+    ranked = ids.withColumn("_r", F.row_number().over(Window.partitionBy("_b").orderBy("edge_id")) - 1).join(shifts, "_b")
+    return df.join(ranked.select("edge_id", (F.col("_at") + F.col("_r")).alias("_r")), "edge_id")
+
+
 def as_updates(ins: DataFrame, dels: DataFrame, deletes_of_ten: int = 5) -> DataFrame:
     """(seq, op, edge_id, s, p, o, inverse): inserts and deletes dealt in the ratio d : 10 - d."""
-    a = ins.withColumn("_r", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("edge_id")) - 1).withColumn("op", F.lit("ins"))
-    b = dels.withColumn("_r", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("edge_id")) - 1).withColumn("op", F.lit("del"))
+    a = numbered(ins).withColumn("op", F.lit("ins"))
+    b = numbered(dels).withColumn("op", F.lit("del"))
     per = F.when(F.col("op") == "del", F.lit(deletes_of_ten)).otherwise(10 - deletes_of_ten)
     shift = F.when(F.col("op") == "del", F.lit(0)).otherwise(deletes_of_ten)
     both = a.unionByName(b, allowMissingColumns=True)
