@@ -6,8 +6,8 @@ distribution over the vocabulary and the end of a text.  Background counts are s
 both back off alike at like evidence.  A document's own words are left out of every count that it is scored with.  Its score
 is the mean over its words (and its end) of the target loss minus the background loss: the lower, the closer it is to the target.
 
-Every word and every bigram of the corpus is counted by its 64-bit key; nothing is capped or thinned.  Documents are taken in chunks.  A
-chunk asks for the counts of its distinct keys, sorted and cut into ranges of keys (packed, some 6 bytes a key); each range is summed
+Every word and every bigram of the corpus is counted by its 56-bit key; nothing is capped or thinned.  Documents are taken in chunks.  A
+chunk asks for the counts of its distinct keys, sorted and cut into ranges of keys (packed, some 5 bytes a key); each range is summed
 over all chunks in one task, and each chunk gets its counts back in the order of its request.  So a key costs each chunk one entry,
 however often it occurs, and no task holds more than a range of keys or a chunk.  Chunks keep their texts as word numbers, so texts
 are read once.  All that is gathered grows with the corpus.
@@ -35,8 +35,10 @@ MASS = 4.0
 CHUNK_WORDS = 1_000_000
 #: Rows of a chunk, however short.
 CHUNK_ROWS = 100_000
+#: Keys keep their upper 56 bits, which travel; of 10^13 different bigrams one in 10,000 then shares its key with another.
+KEPT = np.uint64(0xFFFFFFFFFFFFFF00)
 #: Keys of the start and the end of a text.
-START, END = np.uint64(1), np.uint64(2)
+START, END = np.uint64(1 << 8), np.uint64(2 << 8)
 _K = np.uint64(0x9E3779B97F4A7C15)
 _K2 = np.uint64(0xBF58476D1CE4E5B9)
 
@@ -52,7 +54,7 @@ def pair_keys(v: np.ndarray, w: np.ndarray) -> np.ndarray:
     with np.errstate(over="ignore"):
         k = (v ^ (v >> np.uint64(29))) * _K + w
         k = (k ^ (k >> np.uint64(32))) * _K2
-        return k ^ (k >> np.uint64(31))
+        return (k ^ (k >> np.uint64(31))) & KEPT
 
 
 def _squeezed(raw: bytes) -> bytes:
@@ -109,7 +111,7 @@ class Chunk:
     def _set(self, number: dict[str, int], flat: array, sizes: list[int]) -> None:
         self.sizes = np.array(sizes, np.int64)
         keys = np.fromiter(map(xxhash.xxh64_intdigest, number), np.uint64, len(number))
-        self.words, at = np.unique(keys, return_inverse=True)
+        self.words, at = np.unique(keys & KEPT, return_inverse=True)
         self.text = (at[np.frombuffer(flat, np.uint32)] + 2).astype("<u4") if len(flat) else np.zeros(0, "<u4")
 
     @classmethod
