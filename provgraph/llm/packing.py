@@ -134,7 +134,7 @@ def pack(items: DataFrame, capacity: int = 2048) -> DataFrame:
     before = Window.partitionBy("length").orderBy("_shard").rowsBetween(Window.unboundedPreceding, -1)
     base = counts.withColumn("_base", F.coalesce(F.sum("_n").over(before), F.lit(0))).drop("_n")
     within = Window.partitionBy("length", "_shard").orderBy("doc_id", "piece")
-    ranked = dealt.withColumn("_r", F.row_number().over(within)).join(F.broadcast(base), ["length", "_shard"])  # at most capacity x shards rows
+    ranked = dealt.withColumn("_r", F.row_number().over(within)).join(base.hint("merge"), ["length", "_shard"])  # both sides are dealt by these already
     ranked = ranked.withColumn("_rank", F.col("_base") + F.col("_r") - 1)
     r = runs_df.select(F.col("length").alias("_l"), "rank_from", "rank_to", "seq_from", "at")
     placed = ranked.join(r, (F.col("length") == F.col("_l")) & (F.col("_rank") >= F.col("rank_from")) & (F.col("_rank") < F.col("rank_to")))
