@@ -182,8 +182,8 @@ register("why_minimal", f"{_witness_sql(_q)}, m AS (SELECT * FROM w WHERE NOT EX
 register("lineage", f"{_cte(_q)}, e AS (SELECT DISTINCT {_ans(_q)} AS ans, unnest({_mono(_q)}) AS e FROM ({to_sql(_q)})) SELECT ans, string_agg(CAST(e AS VARCHAR), '.' ORDER BY e) AS edges FROM e GROUP BY ans")(
     lambda s, d: poly.lineage(_deriv(s, d, get("W-S2"))).select(F.array_join("ans", "|").alias("ans"), F.array_join(F.transform("edges", lambda e: e.cast("string")), ".").alias("edges"))
 )
-register("how_square", f"{_cte(_q)} SELECT {_ans(_q)} AS ans, array_to_string({_mono(_q)}, '.') AS mono, count(*) AS n FROM ({to_sql(_q)}) WHERE e_2 = e_3 GROUP BY 1, 2")(
-    lambda s, d: derivations(evaluate(_graph(s, d, get("W-S2")), get("W-S2")).where("e_2 = e_3"), get("W-S2")).select(F.array_join("ans", "|").alias("ans"), F.array_join(F.transform("mono", lambda e: e.cast("string")), ".").alias("mono"), "n")
+register("how_square", f"{_cte(_q)} SELECT {_ans(_q)} AS ans, array_to_string({_mono(_q)}, '.') AS mono, count(*) AS n FROM ({to_sql(_q)}) WHERE e_3 = e_4 GROUP BY 1, 2")(
+    lambda s, d: derivations(evaluate(_graph(s, d, get("W-S2")), get("W-S2")).where("e_3 = e_4"), get("W-S2")).select(F.array_join("ans", "|").alias("ans"), F.array_join(F.transform("mono", lambda e: e.cast("string")), ".").alias("mono"), "n")
 )
 _W = "(e % 97)"
 _RINGS = {"count": (semiring.COUNT, "count(*)"), "bool": (semiring.BOOL, "bool_or(list_min(list_transform(m, lambda e: e % 97)) > 4)"), "tropical": (semiring.TROPICAL, "CAST(min(list_sum(list_transform(m, lambda e: e % 97))) AS BIGINT)"), "fuzzy": (semiring.FUZZY, "CAST(max(list_min(list_transform(m, lambda e: e % 97))) AS BIGINT)"), "security": (semiring.SECURITY, "CAST(min(list_max(list_transform(m, lambda e: e % 97))) AS BIGINT)")}
@@ -204,11 +204,11 @@ def _values(rows: list[tuple], names: str) -> str:
     return f"SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(lit, r)) + ')' for r in rows)}) t({names})"
 
 
-_TYPES = {"W-S2": "IV,IV,IV,IV,I", "W-S1": "IV,IV,IV,IV,I,I", "W-Y4": "IV,IV,IV,IV", "W-C4": "II,I,II,I", "W-S3": "III,I,I,II,I,II,I", "W-K3": "IV,IV,IV", "W-S4": "IV,IV,IV,IV,IV,IV,I"}
+_TYPES = {"W-S2": "II,II,I,I,I", "W-S1": "IV,IV,IV,IV,I,I", "W-Y4": "IV,IV,IV,IV", "W-C4": "II,I,II,I", "W-S3": "III,I,I,II,I,II,I", "W-K3": "IV,IV,IV", "W-S4": "IV,IV,IV,IV,IV,IV,I"}
 register("subq_catalog", _values(list(_TYPES.items()), "qid, types"))(lambda s, d: s.createDataFrame([(n, ",".join(x.kind for x in generate(get(n)))) for n in _TYPES], "qid string, types string"))
 _FOLDS = {"W-S1": 3, "W-S2": 1, "W-S3": 1, "W-Y4": 1, "W-C4": 0, "W-K3": 3, "W-P": 1, "W-V": 1, "W-R": 1}
 register("fold_catalog", _values(list(_FOLDS.items()), "qid, pairs"))(lambda s, d: s.createDataFrame([(n, len(foldable_pairs(get(n)))) for n in _FOLDS], "qid string, pairs bigint"))
-_FOLDED = [("W-S1", ""), ("W-S2", "2-3"), ("W-S3", ""), ("W-Y4", ""), ("W-C4", "")]
+_FOLDED = [("W-S1", ""), ("W-S2", "3-4"), ("W-S3", ""), ("W-Y4", ""), ("W-C4", "")]
 
 
 def _profiled(s, d):
@@ -217,7 +217,7 @@ def _profiled(s, d):
 
 
 register("fold_profiled", _values(_FOLDED, "qid, pairs"))(_profiled)
-_SIZES = {"W-S1": (42, 125), "W-S2": (24, 51), "W-S3": (49, 144), "W-S4": (90, 422), "W-C4": (10, 10), "W-Y4": (13, 18), "W-K3": (7, 6)}
+_SIZES = {"W-S1": (42, 125), "W-S2": (19, 32), "W-S3": (49, 144), "W-S4": (90, 422), "W-C4": (10, 10), "W-Y4": (13, 18), "W-K3": (7, 6)}
 register("andor_sizes", _values([(n, *x) for n, x in _SIZES.items()], "qid, or_nodes, and_nodes"))(lambda s, d: s.createDataFrame([(n, *build(get(n).body).sizes) for n in _SIZES], "qid string, or_nodes bigint, and_nodes bigint"))
 register("m_subqueries", _values([("large", 215, 845), ("small", 4, 25)], "query_set, queries, subqueries"))(lambda s, d: s.createDataFrame([(n, len(qs), sum(len(generate(q)) for q in qs)) for n, qs in (("large", large_set()), ("small", small_set()))], "query_set string, queries bigint, subqueries bigint"))
 

@@ -6,7 +6,7 @@ from ..query.bgp import GraphQuery, parse_select
 
 TEXT = {
     "W-S1": 'SELECT ?cu ?su { ?or placedBy ?cu . ?cu locatedIn ?n . ?or shippedFrom ?su . ?su locatedIn ?n . ?n locatedIn region:2 . ?or hasPriority "1-URGENT" }',
-    "W-S2": "SELECT ?a ?g { ?a followed ?b . ?a coActive ?c . ?c inSegment ?g . ?b inSegment ?g . ?b locatedIn ?n }",
+    "W-S2": 'SELECT ?b ?c { ?a followed ?b . ?a coActive ?c . ?a inSegment "BUILDING" . ?b locatedIn ?n . ?c locatedIn ?m }',
     "W-S3": 'SELECT ?n1 ?n2 { ?or placedBy ?c . ?c inSegment "BUILDING" . ?c locatedIn ?n1 . ?or hasPart ?p . ?p hasBrand "Brand#4" . ?or shippedFrom ?s . ?s locatedIn ?n2 }',
     "W-S4": "SELECT ?a ?c { ?a followed ?b . ?b followed ?c . ?a inSegment ?x . ?c inSegment ?x . ?a locatedIn ?n . ?c locatedIn ?n . ?b locatedIn ?m }",
     "W-C4": 'SELECT ?g { ?or placedBy ?c . ?c inSegment ?g . ?or hasPart ?p . ?p hasBrand "Brand#4" }',
@@ -60,7 +60,7 @@ def large_set(brands: list[str] | None = None, types: list[str] | None = None, s
     q4 += [f'SELECT ?n {{ ?or shippedFrom ?s . ?s locatedIn ?n . ?n locatedIn region:{r} . ?or hasPriority "{p}" }}' for r in regions for p in priorities]
     q4 += [f'SELECT ?c ?n {{ ?a followed ?b . ?b coActive ?c . ?a inSegment "{s}" . ?c locatedIn ?n }}' for s in segments]
     q4 += ["SELECT ?g ?b { ?or placedBy ?c . ?c inSegment ?g . ?or hasPart ?p . ?p hasBrand ?b }", "SELECT ?a ?b ?n { ?a coActive ?b . ?a inSegment ?x . ?b inSegment ?x . ?a locatedIn ?n }"]
-    q5 = [f'SELECT ?a ?n {{ ?a followed ?b . ?a coActive ?c . ?c inSegment "{s}" . ?b inSegment "{s}" . ?b locatedIn ?n }}' for s in segments]
+    q5 = [TEXT["W-S2"].replace('"BUILDING"', f'"{s}"') for s in segments]
     five = lambda b, s: f'SELECT ?c ?n {{ ?or hasPart ?p . ?p hasBrand "{b}" . {at("c")} . ?c locatedIn ?n . ?c inSegment "{s}"'
     q5 += [five(b, s) + " }" for b in brands[:5] for s in segments]
     q5 += [TEXT["W-Y4"].replace(" }", f' . ?or hasPriority "{p}" }}') for p in priorities]
