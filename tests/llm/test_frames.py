@@ -332,3 +332,14 @@ def test_pipeline(spark, sf, none):
     assert 0 < packed.select("doc_id").distinct().count() <= len(kept)
     for _, step in corpus_pipeline.STAGES:
         assert step(spark, none.select(*docs.columns), sf).count() == 0
+
+
+def test_language_stage_learns_from_all_rows(spark):
+    """A letter group that one row of thousands has is learned, whatever the row's id; a fold or a share of the rows would miss some."""
+    rows = [(i, f"mo ni {'qxz' if i == 7 else 'vkw' if i == 8 else 'ta'} lu", "x", "s", 10) for i in range(6000)] + [(None, "zzjzz", "x", "s", 5)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    model = langid.learn(docs)
+    assert {"qxz", "vkw", "zjz"} <= set(model.scores) and langid.Labeller(model).index.most <= 100_000
+    counts = {(r["lang"], r["item"]): r["n"] for r in langid._counted(docs.select("text", "lang")).where("kind = 0").collect()}
+    assert counts["x", " ta"] == 5998 and counts["x", " qx"] == 1
+    assert corpus_pipeline.language(spark, docs, "").count() >= 5998
