@@ -53,6 +53,8 @@ LOT, OFTEN, SALTS = 1024, 64, 1024
 HELD, LARGE = 100_000, 1 << 40
 #: Rounds in which each set is compared with one partner, and partners looked at for it in a bucket.
 ROUNDS, LOOKS = 3, 8
+#: Words whose hashes a worker remembers in each of two generations, some 40 MB in all.
+REMEMBERED = 100_000
 _K = np.uint64(0x9E3779B97F4A7C15)
 _K2 = np.uint64(0xBF58476D1CE4E5B9)
 
@@ -60,7 +62,7 @@ _K2 = np.uint64(0xBF58476D1CE4E5B9)
 class Shingler:
     def __init__(self, n: int = N):
         self.n = n
-        self.get = Memo(xxhash.xxh64_intdigest).__getitem__
+        self.get = Memo(xxhash.xxh64_intdigest, REMEMBERED).__getitem__
 
     def __call__(self, text: str | None) -> np.ndarray:
         """Sorted distinct n-gram hashes; bytes.lower and bytes.split know ASCII only, as the contract has it."""
