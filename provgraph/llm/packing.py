@@ -16,12 +16,13 @@ from __future__ import annotations
 import zlib
 from collections import defaultdict
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .runtime import Stage, ship, shuffle_partitions
-from .subwords import END_ID, default_path, lot_encoder
+from .subwords import END_ID, array_encoder, default_path
 
 PIECE_SCHEMA = "doc_id long, piece int, start long, length int, ids_crc32 long"
 PLAN_SCHEMA = "length int, rank_from long, rank_to long, seq_from long, at int"
@@ -39,16 +40,17 @@ def pieces(docs: DataFrame, capacity: int = 2048, tokenizer: str | None = None,
     """Token pieces of each document (ids and end id), with the checksum of each piece's ids."""
     ship(docs.sparkSession)
     path = tokenizer or default_path()
-    end = END_ID.to_bytes(4, "little")
 
     def run(batches):
-        encode = lot_encoder(path, added=True)
-        for batch in (b.slice(i, 512) for b in batches for i in range(0, b.num_rows, 512)):
+        encode = array_encoder(path, added=True)
+        for batch in (b.slice(i, 2048) for b in batches for i in range(0, b.num_rows, 2048)):
             out: tuple[list, ...] = ([], [], [], [], [])
-            for i, ids in zip(batch.column(0).to_pylist(), encode(batch.column(1).to_pylist())):
-                ids += end
-                for k, (start, length) in enumerate(cut_points(len(ids) // 4, capacity)):
-                    for column, value in zip(out, (i, k, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]))):
+            flat, sizes = encode(batch.column(1))
+            ids, begin = np.insert(flat, np.cumsum(sizes), END_ID).astype("<u4", copy=False), 0
+            for i, n in zip(batch.column(0).to_pylist(), (sizes + 1).tolist()):
+                own, begin = ids[begin : begin + n], begin + n
+                for k, (start, length) in enumerate(cut_points(n, capacity)):
+                    for column, value in zip(out, (i, k, start, length, zlib.crc32(own[start : start + length]))):
                         column.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int64()))], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 

@@ -48,6 +48,25 @@ def test_unit_encoder_equals_library():
     assert encode(None) == b""
 
 
+@pytest.mark.parametrize("added", [True, False])
+@pytest.mark.parametrize("remembered", [5, 500_000])
+def test_array_encoder_equals_library(added, remembered):
+    """All texts of a column at once: words cut at marks and line ends, what is forgotten meanwhile, nulls, slices, texts that are not cut."""
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(subwords.default_path())
+    library.encode_special_tokens = not added
+    rows = [None, *texts(600, 7), "Ende.\nNeu,\n\nZwei é.\n(Drei) l'été''s x's\0y a\0.b", " \0", "ein <|endoftext|>, zwei", "ǅ ɐ.b Ⅷ. ª.º 'stab don't."]
+    encode = subwords.array_encoder(subwords.default_path(), added, remembered)
+    for _ in range(2):
+        flat, sizes = encode(pa.array([None, *rows], pa.string()).slice(1))
+        ends = np.cumsum(sizes).tolist()
+        for t, a, b in zip(rows, [0, *ends], ends):
+            assert flat[a:b].tolist() == library.encode(t or "", add_special_tokens=False).ids, t
+    assert encode(pa.array([], pa.string()))[0].tolist() == encode(pa.array([None, ""]))[0].tolist() == []
+
+
 def greedy(word, vocabulary):
     n, at = 0, 0
     while at < len(word):
